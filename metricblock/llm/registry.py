@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from metricblock.llm import url_cascade
+from metricblock.llm import mixing, packing, url_cascade
 
 QUERIES = {
+    "op1_packing": packing.op1_packing,
     "op8_url_cascade": url_cascade.op8_url_cascade,
+    "op10_mixing": mixing.op10_mixing,
 }
 ORACLE_SQL = {
     "op8_url_cascade": url_cascade.OP8_SQL,
