@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
-from metricblock.llm import mixing, packing, url_cascade
+from metricblock.llm import embedding_dedup, mixing, neighbours, packing, simhash, url_cascade
 
 QUERIES = {
     "op1_packing": packing.op1_packing,
+    "op2_projection_tree": neighbours.op2_projection_tree,
+    "op5_sorted_passes": embedding_dedup.op5_sorted_passes,
+    "op6_simhash": simhash.op6_simhash,
     "op8_url_cascade": url_cascade.op8_url_cascade,
     "op10_mixing": mixing.op10_mixing,
 }
