@@ -11,8 +11,9 @@ mostly share their anchor; together they are a run.  Only runs travel:
    settled; no task ever holds all runs of a gram here, counts come by partial sums;
 3. grams around which different stretches occur are left: there one copy of each different
    stretch is fetched, and a solver (suffix array or suffix tree) compares their windows;
-4. where a gram has more different stretches than a task should hold, its key grows to the
-   whole window, and windows are counted by partial sums like the runs before.
+4. where a gram has more different stretches than a task should hold, the stretches go through
+   the same steps with longer grams, and so on; the last are as long as the window, and leave
+   nothing to compare.
 
 Nothing is sampled or capped, and the rows at every step grow with the repeated text only.
 """
@@ -20,11 +21,10 @@ Nothing is sampled or capped, and the rows at every step grow with the repeated
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -48,6 +48,11 @@ class Kind:
     later: bool
     group_up_to: int = 256
 
+    def longer(self) -> Kind | None:
+        """The same with longer grams: a quarter of the places for an anchor in a window."""
+        places = self.width - self.gram + 1
+        return replace(self, gram=self.width - max(1, places // 4) + 1) if places > 1 else None
+
 
 def least_places(grams: np.ndarray, span: int) -> np.ndarray:
     """For each start the place of the least of ``span`` grams from there; ties go to the first."""
@@ -88,14 +93,14 @@ def runs(units: np.ndarray, lengths: np.ndarray, kind: Kind) -> tuple[np.ndarray
     return grams[place[first]], spans(sums, first, stop), own, first - base, stop - base
 
 
-def _chunks(batches: Iterator[pa.RecordBatch], kind: Kind) -> Iterator[tuple[np.ndarray, list, list, list, list]]:
-    """Units of several documents end to end; a document longer than a chunk comes in overlapping parts."""
-    held: list[tuple[int, int, bytes]] = []
+def _chunks(batches: Iterator[pa.RecordBatch], kind: Kind) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Units of several texts end to end, and for each of them: key, checksum, offset, copies, length."""
+    held: list[tuple[int, int, int, int, bytes]] = []
     size = 0
     for b in batches:
-        for doc, tag, text in zip(*(c.to_pylist() for c in b.columns[:2]), b.column(2), strict=True):
+        for doc, tag, base, m, text in zip(*(c.to_pylist() for c in b.columns[:4]), b.column(4), strict=True):
             data = text.as_py()
-            held.append((doc, tag, data))
+            held.append((doc, tag, base, m, data))
             size += len(data)
             if size >= CHUNK:
                 yield from _laid(held, kind)
@@ -104,30 +109,31 @@ def _chunks(batches: Iterator[pa.RecordBatch], kind: Kind) -> Iterator[tuple[np.
         yield from _laid(held, kind)
 
 
-def _laid(held: list[tuple[int, int, bytes]], kind: Kind) -> Iterator[tuple[np.ndarray, list, list, list, list]]:
+def _laid(held: list[tuple[int, int, int, int, bytes]], kind: Kind) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """A text longer than a chunk comes in parts that overlap by a window less one unit."""
     if kind.unit == "byte":
-        parts = [np.frombuffer(data, dtype=np.uint8) for _, _, data in held]
+        parts = [np.frombuffer(h[4], dtype=np.uint8) for h in held]
     else:
-        flat = np.frombuffer(b" ".join(data for _, _, data in held), dtype=np.uint8)
+        flat = np.frombuffer(b" ".join(h[4] for h in held), dtype=np.uint8)
         starts, hashes = word_hashes(flat)
-        ends = np.cumsum([len(data) + 1 for _, _, data in held])
+        ends = np.cumsum([len(h[4]) + 1 for h in held])
         parts = np.split(hashes, np.searchsorted(starts, ends[:-1]))
-    units, docs, tags, offsets, lengths, total = [], [], [], [], [], 0
+    units, about, total = [], [], 0
 
-    def flush():
+    def flush() -> tuple[np.ndarray, np.ndarray]:
         x = np.concatenate(units).astype(np.uint64)
-        out = (x + np.uint64(1) if kind.unit == "byte" else x), docs[:], tags[:], offsets[:], lengths[:]
-        for y in (units, docs, tags, offsets, lengths):
-            y.clear()
+        out = (x + np.uint64(1) if kind.unit == "byte" else x), np.array(about, dtype=np.int64)
+        units.clear()
+        about.clear()
         return out
 
-    for (doc, tag, _), part in zip(held, parts, strict=True):
+    for (doc, tag, base, m, _), part in zip(held, parts, strict=True):
         for at in range(0, max(1, len(part) - kind.width + 1), CHUNK):
             piece = part[at : at + CHUNK + kind.width - 1]
             if len(piece) < kind.width:
                 continue
             units.append(piece)
-            docs.append(doc), tags.append(tag), offsets.append(at), lengths.append(len(piece))
+            about.append((doc, tag, base + at, m, len(piece)))
             total += len(piece)
             if total >= 2 * CHUNK:
                 yield flush()
@@ -136,28 +142,29 @@ def _laid(held: list[tuple[int, int, bytes]], kind: Kind) -> Iterator[tuple[np.n
         yield flush()
 
 
-def _settled_here(a, u, doc, tag, start, stop, later: bool) -> Iterator[pa.RecordBatch]:
+def _settled_here(a, u, doc, tag, base, start, stop, copies, later: bool) -> Iterator[pa.RecordBatch]:
     """One row for each stretch seen; its other places are settled now (``a`` is null there)."""
     order = np.lexsort((start, tag, doc, u))
-    a, u, doc, tag, start, stop = (x[order] for x in (a, u, doc, tag, start, stop))
+    a, u, doc, tag, base, start, stop, copies = (x[order] for x in (a, u, doc, tag, base, start, stop, copies))
     if later:  # rows that share id and text are one document
         fresh = np.ones(len(u), dtype=bool)
         fresh[1:] = (u[1:] != u[:-1]) | (doc[1:] != doc[:-1]) | (tag[1:] != tag[:-1]) | (start[1:] != start[:-1])
-        a, u, doc, tag, start, stop = (x[fresh] for x in (a, u, doc, tag, start, stop))
+        a, u, doc, tag, base, start, stop, copies = (x[fresh] for x in (a, u, doc, tag, base, start, stop, copies))
     lead = np.ones(len(u), dtype=bool)
     lead[1:] = u[1:] != u[:-1]
     at = np.flatnonzero(lead)
-    n = np.minimum(np.diff(np.append(at, len(u))), 2)
-    yield _rows(a[at].view(np.int64), u[at].view(np.int64), doc[at], tag[at], start[at], stop[at], n)
+    n = np.minimum(np.add.reduceat(copies, at), 2)
+    yield _rows(a[at].view(np.int64), u[at].view(np.int64), doc[at], tag[at], base[at], start[at], stop[at], n)
     if len(at) < len(u):
         doc, tag, start, stop = merged(*(x[~lead] for x in (doc, tag, start, stop)))
-        yield _rows(None, None, doc, tag, start, stop, np.zeros(len(doc), dtype=np.int64))
+        none = np.zeros(len(doc), dtype=np.int64)
+        yield _rows(None, None, doc, tag, none, start, stop, none)
 
 
-def _rows(a, u, doc, tag, start, stop, n) -> pa.RecordBatch:
+def _rows(a, u, doc, tag, base, start, stop, n) -> pa.RecordBatch:
     empty = pa.nulls(len(doc), pa.int64())
-    columns = [empty if a is None else pa.array(a), empty if u is None else pa.array(u), pa.array(doc), pa.array(tag), pa.array(start.astype(np.int32)), pa.array(stop.astype(np.int32)), pa.array(n.astype(np.int32))]
-    return pa.RecordBatch.from_arrays(columns, ["a", "u", "doc", "tag", "start", "stop", "n"])
+    columns = [empty if a is None else pa.array(a), empty if u is None else pa.array(u), pa.array(doc), pa.array(tag), *(pa.array(x.astype(np.int32)) for x in (base, start, stop, n))]
+    return pa.RecordBatch.from_arrays(columns, ["a", "u", "doc", "tag", "base", "start", "stop", "n"])
 
 
 def merged(doc, tag, start, stop) -> tuple[np.ndarray, ...]:
@@ -177,17 +184,17 @@ def merged(doc, tag, start, stop) -> tuple[np.ndarray, ...]:
     return doc[at], tag[at], start[at], reach[last] if len(at) else stop[:0]
 
 
-RUNS = "a long, u long, doc long, tag int, start int, stop int, n int"
+RUNS = "a long, u long, doc long, tag int, base int, start int, stop int, n int"
 
 
 def _run_rows(kind: Kind):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple] = []
         size = 0
-        for units, docs, tags, offsets, lengths in _chunks(batches, kind):
-            a, u, own, start, stop = runs(units, np.array(lengths), kind)
-            shift = np.array(offsets)[own]
-            held.append((a, u, np.array(docs, dtype=np.int64)[own], np.array(tags, dtype=np.int32)[own], start + shift, stop + shift))
+        for units, about in _chunks(batches, kind):
+            a, u, own, start, stop = runs(units, about[:, 4], kind)
+            doc, tag, base, copies, _ = about[own].T
+            held.append((a, u, doc, tag.astype(np.int32), base, start + base, stop + base, copies))
             size += len(a)
             if size >= FLUSH:
                 yield from _settled_here(*map(np.concatenate, zip(*held, strict=True)), kind.later)
@@ -204,11 +211,11 @@ def _pieces(kind: Kind):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             out: list[list] = [[] for _ in range(7)]
-            for doc, tag, text, wanted in zip(b.column("doc").to_pylist(), b.column("tag").to_pylist(), b.column("text"), b.column("wanted"), strict=True):
+            for doc, tag, base, text, wanted in zip(*(b.column(c).to_pylist() for c in ("doc", "tag", "base")), b.column("text"), b.column("wanted"), strict=True):
                 data = text.as_py()
                 units = data if kind.unit == "byte" else data.split()
                 for x in wanted.as_py():
-                    piece = units[x["start"] : x["stop"]]
+                    piece = units[x["start"] - base : x["stop"] - base]
                     row = (x["a"], doc, tag, x["start"], x["m"], x["hot"], piece if kind.unit == "byte" else b" ".join(piece))
                     for column, value in zip(out, row, strict=True):
                         column.append(value)
@@ -224,25 +231,6 @@ STRETCHES = "doc long, tag int, start int, stop int"
 Solver = Callable[[list[bytes], "Kind"], np.ndarray]
 
 
-def _window_rows(kind: Kind):
-    """Every window of a stretch as a digest of 128 bits."""
-    w = kind.width
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        digest = xxhash.xxh3_128_digest
-        for b in batches:
-            for doc, tag, start, m, piece in zip(*(b.column(c).to_pylist() for c in ("doc", "tag", "start", "m", "piece")), strict=True):
-                if kind.unit == "byte":
-                    keys = [digest(piece[i : i + w]) for i in range(len(piece) - w + 1)]
-                else:
-                    words = piece.split(b" ")
-                    keys = [digest(b" ".join(words[i : i + w])) for i in range(len(words) - w + 1)]
-                n = len(keys)
-                yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array([doc] * n, pa.int64()), pa.array([tag] * n, pa.int32()), pa.array(np.arange(start, start + n, dtype=np.int32)), pa.array([m] * n, pa.int64())], ["w", "doc", "tag", "start", "m"])
-
-    return run
-
-
 def _solved(kind: Kind, solver: Solver, block_bytes: int = 1 << 20):
     """Stretches of the pieces' windows that count as repeats; all pieces of a gram are in one block."""
 
@@ -283,41 +271,44 @@ def keyed(docs: DataFrame, *more: str) -> DataFrame:
 
 def repeated_stretches(docs: DataFrame, kind: Kind, solver: Solver) -> DataFrame:
     """``(doc, tag, cuts)``: for each document with repeats its stretches (start, stop) to remove, in units."""
-    texts = keyed(docs)
+    texts = keyed(docs).select(*KEY, F.lit(0).alias("base"), F.lit(1).cast("long").alias("m"), "text")
+    found: list[DataFrame] = []
+    level: Kind | None = kind
+    while level:
+        settled, firsts = _settled(texts, level)
+        found.append(settled)
+        wanted = firsts.groupBy(*KEY, "base").agg(F.collect_list(F.struct("a", "start", "stop", "m", "hot")).alias("wanted"))
+        pieces = stored(texts.join(wanted, [*KEY, "base"]).dropDuplicates([*KEY, "base"]).mapInArrow(_pieces(level), PIECES))
+        cool = pieces.where("not hot").select("a", *KEY, "start", "m", "piece")
+        found.append(cool.repartition("a").sortWithinPartitions("a").mapInArrow(_solved(level, solver), STRETCHES))
+        hot = pieces.where("hot").select(*KEY, F.col("start").alias("base"), "m", F.col("piece").alias("text"))
+        texts, level = hot, level.longer() if not hot.isEmpty() else None
+    cuts = found[0]
+    for more in found[1:]:
+        cuts = cuts.unionByName(more)
+    return stored(cuts.groupBy(*KEY).agg(F.collect_list(F.struct("start", "stop")).alias("cuts")))
+
+
+def _settled(texts: DataFrame, kind: Kind) -> tuple[DataFrame, DataFrame]:
+    """Stretches that whole runs settle, and one copy of each stretch whose gram has several.
+
+    ``texts`` are documents, or stretches of them from ``base`` on, with their number ``m`` of copies.
+    """
     seen = stored(texts.mapInArrow(_run_rows(kind), RUNS))
     whole = seen.where("a is not null")
     grams = whole.groupBy("a").agg(F.sum("n").alias("all"), F.min("u").alias("least"), F.max("u").alias("most")).where(F.col("all") > 1)
     shared = stored(whole.join(grams.select("a", (F.col("least") != F.col("most")).alias("mixed")), "a"))
-    here = stored(seen.where("a is null").select("doc", "tag", "start", "stop"))
+    here = stored(seen.where("a is null").select(*KEY, "start", "stop"))
     drop(seen)
 
-    place = F.struct("doc", "tag", "start")
+    place = F.struct(*KEY, "start")
     stretches = shared.groupBy("a", "u").agg(F.sum("n").alias("m"), F.min(place).alias("first"))
     known = stored(shared.join(stretches, ["a", "u"]).withColumn("is_first", place == F.col("first")).drop("first", "n"))
     drop(shared)
-    full = known.where(~F.col("is_first") if kind.later else F.col("m") > 1).select("doc", "tag", "start", "stop")
-
+    full = known.where(~F.col("is_first") if kind.later else F.col("m") > 1).select(*KEY, "start", "stop")
     firsts = known.where("mixed and is_first").dropDuplicates(["a", "u"])
     sizes = firsts.groupBy("a").agg((F.count("*") > kind.group_up_to).alias("hot"))
-    wanted = firsts.join(sizes, "a").groupBy(*KEY).agg(F.collect_list(F.struct("a", "start", "stop", "m", "hot")).alias("wanted"))
-    one_each = texts.join(wanted, KEY).dropDuplicates(KEY)
-    pieces = stored(one_each.mapInArrow(_pieces(kind), PIECES))
-
-    cool = pieces.where("not hot").select("a", "doc", "tag", "start", "m", "piece")
-    solved = cool.repartition("a").sortWithinPartitions("a").mapInArrow(_solved(kind, solver), STRETCHES)
-
-    windows = pieces.where("hot").mapInArrow(_window_rows(kind), "w binary, doc long, tag int, start int, m long")
-    windows = stored(windows)
-    if kind.later:
-        least = windows.groupBy("w").agg(F.min(place).alias("first"), F.count("*").alias("k")).where("k > 1")
-        late = windows.join(least, "w").where(place != F.col("first"))
-    else:
-        several = windows.groupBy("w").agg(F.count("*").alias("k")).where("k > 1")
-        late = windows.where("m = 1").join(several, "w")
-    late = late.select("doc", "tag", "start", (F.col("start") + kind.width).alias("stop"))
-
-    cuts = full.unionByName(here).unionByName(solved).unionByName(late)
-    return stored(cuts.groupBy(*KEY).agg(F.collect_list(F.struct("start", "stop")).alias("cuts")))
+    return full.unionByName(here), firsts.join(sizes, "a")
 
 
 def cut_stretches(docs: DataFrame, cuts: DataFrame, apply, schema: str, *columns: str) -> DataFrame:

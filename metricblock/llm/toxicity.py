@@ -134,8 +134,8 @@ class ToxicityModel:
         slope, shift = self.curve
         return 1 / (1 + np.exp(-np.clip(slope * np.log(vote / (1 - vote)) + shift, -30, 30)))
 
-    def judge(self, texts: list[bytes], k: int = NEIGHBOURS) -> tuple[np.ndarray, list[list[dict]]]:
-        """Score and evidence of each text."""
+    def judge(self, texts: list[bytes], k: int = NEIGHBOURS, with_evidence: bool = True) -> tuple[np.ndarray, list[list[dict]]]:
+        """Score of each text, and its evidence unless that isn't wanted."""
         doc, hashes = terms_of(texts)
         hit, place = known(hashes, self.vocabulary)
         doc, term, n = counted(doc[hit], place, max(1, len(self.vocabulary)))
@@ -144,7 +144,8 @@ class ToxicityModel:
         for i, (a, b) in enumerate(zip(begins[:-1], begins[1:], strict=True)):
             example, near = self.index.find(term[a:b], weight[a:b], k) if b > a else (np.zeros(0, dtype=np.int64), np.zeros(0))
             votes[i] = self.vote(example, near)
-            evidence.append([{"doc_id": d, "cosine": c, "toxic": t} for d, c, t in zip(self.ids[example].tolist(), near.tolist(), self.toxic[example].astype(int).tolist(), strict=True)])
+            if with_evidence:
+                evidence.append([{"doc_id": d, "cosine": c, "toxic": t} for d, c, t in zip(self.ids[example].tolist(), near.tolist(), self.toxic[example].astype(int).tolist(), strict=True)])
         return self.probability(votes), evidence
 
 
@@ -252,7 +253,7 @@ def _judged(model: ToxicityModel, evidence: bool, at_once: int = 1 << 20):
             scores, found, held, size = [np.zeros(0)], [], [], 0
 
             def add():
-                score, why = model.judge(held)
+                score, why = model.judge(held, with_evidence=evidence)
                 scores.append(score)
                 found.extend(why)
 
