@@ -1,10 +1,10 @@
 """Removal of repeated passages of words, by prefix-partitioned suffix trees.
 
 Suffixes are split by prefixes of variable length, each as long as it takes for its group to
-fit: over the corpus by ``repeats`` (the gram at a window's anchor, or the whole window where
-a gram is too frequent), and inside a block by one, two, four ... words.  Each group gives one
-subtree.  A subtree's internal nodes at the depth of a window or deeper are the repeats, and
-their earliest leaf is the place that stays.
+fit: over the corpus by ``repeats`` (the gram at a window's anchor, a longer one where that is
+too frequent), and inside a block by one, two, four ... words, small groups sharing a bin.
+Each bin gives one subtree.  A subtree's internal nodes at the depth of a window or deeper are
+the repeats, and their earliest leaf is the place that stays.
 """
 
 from __future__ import annotations
@@ -24,57 +24,61 @@ from metricblock.llm.hashing import word_spans
 from metricblock.llm.repeats import KEY, NO_ID, Kind, cut_stretches, keyed, repeated_stretches, union_of
 
 WIDTH = 20
-GRAM = 3
+GRAM = 7
 
 
-def prefix_groups(rungs: list[tuple[int, np.ndarray]], starts: np.ndarray, most: int) -> Iterator[np.ndarray]:
-    """``starts`` split by prefixes; a group of more than ``most`` takes a prefix twice as long, up to the depth."""
+def prefix_bins(rungs: list[tuple[int, np.ndarray]], starts: np.ndarray, most: int) -> Iterator[np.ndarray]:
+    """``starts`` split by prefixes, small groups put together to bins of about ``most``.
+
+    A group of more than ``most`` is split by a prefix twice as long, up to the depth.
+    """
     waiting = [(0, starts)]
     while waiting:
         rung, group = waiting.pop()
         rank = rungs[rung][1][group]
         order = np.argsort(rank, kind="stable")
         group, rank = group[order], rank[order]
-        for part in np.split(group, np.flatnonzero(np.diff(rank)) + 1):
-            if len(part) > most and rung + 1 < len(rungs):
-                waiting.append((rung + 1, part))
-            elif len(part) > 1:
-                yield part
+        borders = np.concatenate([[0], np.flatnonzero(np.diff(rank)) + 1, [len(group)]])
+        sizes = np.diff(borders)
+        small = sizes <= most if rung + 1 < len(rungs) else sizes > 0
+        waiting += [(rung + 1, group[borders[i] : borders[i + 1]]) for i in np.flatnonzero(~small)]
+        bin_of = np.repeat((np.cumsum(sizes[small]) - 1) // most, sizes[small])
+        if len(bin_of):
+            yield from np.split(group[np.repeat(small, sizes)], np.flatnonzero(np.diff(bin_of)) + 1)
 
 
-def deep_nodes(rungs: list[tuple[int, np.ndarray]], group: np.ndarray) -> list[tuple[int, int, int]]:
-    """Internal nodes (depth, first leaf, leaf after the last) of the group's subtree, and its leaves' order.
+def deep_nodes(rungs: list[tuple[int, np.ndarray]], leaves: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The leaves in suffix order, and for each internal node at full depth its first leaf and the leaf after its last.
 
-    The leaves are reordered in place into suffix order.
+    Neighbours in suffix order whose common prefix reaches the depth are under one node.
     """
-    group[:] = group[np.argsort(rungs[-1][1][group], kind="stable")]
-    shared = suffixes.common_prefix(rungs, group[:-1], group[1:]).tolist()
-    nodes, stack = [], []  # a stack of (depth, first leaf) from the root down
-    for i, depth in enumerate([*shared, -1]):
-        first = i
-        while stack and stack[-1][0] > depth:
-            top, first = stack.pop()
-            nodes.append((top, first, i + 1))
-        if depth >= 0 and (not stack or stack[-1][0] < depth):
-            stack.append((depth, first))
-    return nodes
-
-
-def later_windows(pieces: list[bytes], kind: Kind, most: int = 4096) -> np.ndarray:
+    rank = rungs[-1][1][leaves]
+    order = np.argsort(rank, kind="stable")
+    deep = np.zeros(len(order) + 1, dtype=np.int8)
+    deep[1:-1] = rank[order][1:] == rank[order][:-1]
+    turn = np.diff(deep)
+    return leaves[order], np.flatnonzero(turn == 1), np.flatnonzero(turn == -1) + 1
+
+
+def later_windows(pieces: list[bytes], kind: Kind, most: int = 1 << 15) -> np.ndarray:
     """For each window of the pieces (in corpus order): is it below a deep node, and not its earliest leaf?"""
     number: dict[bytes, int] = {}
-    words = [[number.setdefault(w, len(number)) for w in p.split(b" ")] for p in pieces]
+    words = [p.split(b" ") for p in pieces]
     lengths = np.array([len(w) for w in words])
-    flat = np.concatenate([np.array(w, dtype=np.int64) for w in words])
-    rungs = suffixes.ladder(suffixes.dense(flat), 1, kind.width)
+    flat = np.array([number.setdefault(w, len(number)) for ws in words for w in ws], dtype=np.int64)
+    rungs = suffixes.ladder(flat + 1, 1, kind.width)
     starts = np.cumsum(lengths) - lengths
-    windows = np.concatenate([np.arange(s, s + n - kind.width + 1) for s, n in zip(starts, lengths, strict=True)])
+    n = lengths - kind.width + 1
+    windows = np.repeat(starts - (np.cumsum(n) - n), n) + np.arange(n.sum())
     found = np.zeros(len(flat), dtype=bool)
-    for group in prefix_groups(rungs, windows, most):
-        for depth, first, end in deep_nodes(rungs, group):
-            if depth >= kind.width:
-                leaves = group[first:end]
-                found[leaves] = leaves > leaves.min()
+    for bin_ in prefix_bins(rungs, windows, most):
+        leaves, first, end = deep_nodes(rungs, bin_)
+        if not len(first):
+            continue
+        size = end - first
+        under = np.repeat(first - (np.cumsum(size) - size), size) + np.arange(size.sum())
+        earliest = np.minimum.reduceat(leaves[under], np.cumsum(size) - size)
+        found[leaves[under]] = leaves[under] > np.repeat(earliest, size)
     return found[windows]
 
 

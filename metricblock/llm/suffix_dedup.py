@@ -51,7 +51,8 @@ def repeated_windows(pieces: list[bytes], kind: Kind) -> np.ndarray:
     rank = suffixes.ladder(suffixes.dense(word), 8, kind.width)[-1][1]
     lengths = np.array([len(p) for p in pieces])
     starts = np.cumsum(lengths) - lengths
-    windows = np.concatenate([np.arange(s, s + n - kind.width + 1) for s, n in zip(starts, lengths, strict=True)])
+    n = lengths - kind.width + 1
+    windows = np.repeat(starts - (np.cumsum(n) - n), n) + np.arange(n.sum())
     order = windows[np.argsort(rank[windows], kind="stable")]
     depth = rank[order]
     found = np.zeros(len(rank), dtype=bool)
