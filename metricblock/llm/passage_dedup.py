@@ -21,7 +21,7 @@ from pyspark.sql import types as T
 from metricblock.llm import suffixes
 from metricblock.llm.common import table
 from metricblock.llm.hashing import word_spans
-from metricblock.llm.repeats import KEY, NO_ID, Kind, cut_stretches, keyed, repeated_stretches, union_of
+from metricblock.llm.repeats import KEY, NO_ID, Kind, cut_stretches, keyed, repeated_stretches, unions
 
 WIDTH = 20
 GRAM = 7
@@ -88,8 +88,8 @@ def _words_kept(digest_only: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             rows = []
-            for doc, text, cuts in zip(b.column("doc").to_pylist(), b.column("text"), b.column("cuts").to_pylist(), strict=True):
-                data, spans = text.as_py(), union_of(cuts)
+            for doc, text, (firsts, lasts) in zip(b.column("doc").to_pylist(), b.column("text"), unions(b.column("cuts")), strict=True):
+                data, spans = text.as_py(), list(zip(firsts.tolist(), lasts.tolist(), strict=True))
                 doc = None if doc == NO_ID else doc
                 if digest_only:
                     words, rest, at = data.split(), [], 0

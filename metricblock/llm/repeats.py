@@ -25,6 +25,7 @@ from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -317,12 +318,16 @@ def cut_stretches(docs: DataFrame, cuts: DataFrame, apply, schema: str, *columns
     return texts.join(cuts, KEY, "left").select("doc", "text", "cuts", *columns).mapInArrow(apply, schema)
 
 
-def union_of(cuts: list[dict] | None) -> list[tuple[int, int]]:
-    """Maximal stretches, in order."""
-    out: list[tuple[int, int]] = []
-    for a, b in sorted((x["start"], x["stop"]) for x in cuts or ()):
-        if out and a <= out[-1][1]:
-            out[-1] = out[-1][0], max(b, out[-1][1])
-        else:
-            out.append((a, b))
-    return out
+def unions(cuts: pa.ListArray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """For each row the starts and stops of its maximal stretches, in order; none for null.
+
+    Rows can hold a great many stretches, so they never become Python objects.
+    """
+    flat = cuts.flatten()
+    starts, stops = (flat.field(c).to_numpy(zero_copy_only=False) for c in ("start", "stop"))
+    ends = np.cumsum(pc.fill_null(pc.list_value_length(cuts), 0).to_numpy(zero_copy_only=False))
+    for a, b in zip([0, *ends[:-1]], ends, strict=True):
+        order = np.argsort(starts[a:b], kind="stable")
+        start, reach = starts[a:b][order], np.maximum.accumulate(stops[a:b][order]) if b > a else stops[a:b]
+        new = np.flatnonzero(start[1:] > reach[:-1]) + 1
+        yield start[np.concatenate([[0], new])] if b > a else start, reach[np.concatenate([new - 1, [b - a - 1]])] if b > a else reach

@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 
 from metricblock.llm import suffixes
 from metricblock.llm.common import table
-from metricblock.llm.repeats import NO_ID, Kind, cut_stretches, repeated_stretches, union_of
+from metricblock.llm.repeats import NO_ID, Kind, cut_stretches, repeated_stretches, unions
 
 WIDTH = 400
 GRAM = 128
@@ -69,14 +69,14 @@ def _kept(digest_only: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             rows = []
-            for doc, text, cuts in zip(b.column("doc").to_pylist(), b.column("text"), b.column("cuts").to_pylist(), strict=True):
-                data, spans = text.as_py(), union_of(cuts)
+            for doc, text, (starts, stops) in zip(b.column("doc").to_pylist(), b.column("text"), unions(b.column("cuts")), strict=True):
+                data = text.as_py()
                 rest, at = [], 0
-                for start, stop in spans:
+                for start, stop in zip(starts.tolist(), stops.tolist(), strict=True):
                     rest.append(data[at:start])
                     at = stop
                 kept = b"".join([*rest, data[at:]])
-                rows.append((None if doc == NO_ID else doc, len(data), len(data) - len(kept), len(spans), hashlib.sha256(kept).hexdigest() if digest_only else kept))
+                rows.append((None if doc == NO_ID else doc, len(data), len(data) - len(kept), len(starts), hashlib.sha256(kept).hexdigest() if digest_only else kept))
             types = (pa.int64(),) * 4 + (pa.string() if digest_only else pa.binary(),)
             columns = zip(*rows, strict=True) if rows else [()] * 5
             yield pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(columns, types, strict=True)], names)
