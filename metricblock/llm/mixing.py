@@ -201,7 +201,8 @@ def mix_documents(docs: DataFrame, boundary: str = "split") -> tuple[DataFrame,
 
 
 def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    mixed, report = mix_documents(table(spark, sf_dir, "documents").select("doc_id", "source", text_of().alias("text")).select("doc_id", "source", "text"))
+    sizes = table(spark, sf_dir, "documents").select("doc_id", "source", words(text_of()).alias("words"))
+    mixed, report = mix(sizes, F.array(F.col("source").cast("string")), F.col("words"), cycle_weights)
     found = spark.createDataFrame([(s, n, t) for s, (n, t) in report.items()], "source string, source_size long, target double")
     return (
         mixed.withColumn("source", F.get("_pattern", F.lit(0)))
