@@ -46,9 +46,10 @@ def repeated_windows(pieces: list[bytes], kind: Kind) -> np.ndarray:
     """For each window of the pieces: is its longest previous factor (or, unless ``later``, next factor) as long as it?"""
     data = np.frombuffer(b"".join(pieces) + bytes(8), dtype=np.uint8).astype(np.uint64)
     word = np.zeros(len(data) - 8, dtype=np.uint64)
-    for i in range(8):
+    step = min(8, 1 << (kind.width.bit_length() - 1))
+    for i in range(step):
         word = word << np.uint64(8) | data[i : i + len(word)]
-    rank = suffixes.ladder(suffixes.dense(word), 8, kind.width)[-1][1]
+    rank = suffixes.ladder(suffixes.dense(word), step, kind.width)[-1][1]
     lengths = np.array([len(p) for p in pieces])
     starts = np.cumsum(lengths) - lengths
     n = lengths - kind.width + 1
