@@ -25,7 +25,7 @@ class PlacementOptions:
     start: str = "linear"
     max_iter: int = 60
     tol: float = 1e-5
-    rate: float = 0.5
+    rate: float = 1.0
     batch: int = 32
     epochs: int = 12
     seed: int = 42
@@ -73,7 +73,7 @@ def place_batch(anchors: np.ndarray, delta: np.ndarray, seeds: np.ndarray, optio
         order = np.stack([np.random.default_rng(abs(int(s))).permutation(n) for s in seeds]) if len(seeds) else np.zeros((0, n), dtype=int)
         every = np.arange(len(y))
         for epoch in range(options.epochs):
-            rate = options.rate / (1 + 0.3 * epoch)
+            rate = options.rate / (1 + 0.1 * epoch)
             for a in range(0, n, options.batch):
                 some = order[:, a : a + options.batch]
                 gap = y[:, None, :] - anchors[some]
