@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from metricblock import workloads as W
-from metricblock.functions.distance import delta_to_landmarks
+from metricblock.functions.edit_kernel import key_matrix
 from metricblock.operators import landmarks as lm
 from metricblock.operators import measures, mds
 from metricblock.operators.blocks import block_pairs
@@ -79,12 +79,13 @@ def time_by_landmarks(spark: SparkSession, sf_dir: str, n: int = W.REFERENCE, q:
     rows = []
     for L in Ls:
         chosen = lm.choose(keys, L, "coreset")
-        x, _ = mds.lsmds(mds.landmark_delta(spark, chosen), K)
-        measured = delta_to_landmarks(asked, chosen)
+        x, _ = mds.lsmds(mds.landmark_delta(chosen), K)
+        measured = asked.select("key", F.xxhash64("key").alias("s"))
         began = time.perf_counter()
-        got = measured.select(F.xxhash64("key").alias("s"), "delta").collect()
+        got = measured.collect()
+        delta = key_matrix([r["key"] for r in got], chosen)
         distance = time.perf_counter() - began
-        delta, seeds = np.array([r["delta"] for r in got]), np.array([r["s"] for r in got])
+        seeds = np.array([r["s"] for r in got])
         began = time.perf_counter()
         place_batch(x, delta, seeds, PlacementOptions())
         rows.append((L, distance / q, (time.perf_counter() - began) / q))

@@ -10,11 +10,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from metricblock.functions.distance import key_delta
+from metricblock.functions.edit_kernel import key_matrix
 from metricblock.functions.text import hash8
 from metricblock.operators.clusters import drop, stored
 
-#: Rows that exact farthest-first may pass over; each landmark costs one pass.
-EXACT_ROWS, EXACT_LANDMARKS = 1_000_000, 500
+#: Rows that exact farthest-first may pass over; each landmark costs one pass.  Up to
+#: ``DRIVER_KEYS`` distinct keys the passes run on the driver.
+EXACT_ROWS, EXACT_LANDMARKS, DRIVER_KEYS = 1_000_000, 500, 50_000
 
 
 def _place(seed: int):
@@ -36,6 +38,11 @@ def farthest_first(keys: DataFrame, n: int, seed: int = 42, combine: str = "sum"
     tree-reduced maximum per landmark; every few passes a table cuts the lineage.
     """
     spark = keys.sparkSession
+    few = keys.select("key", _place(seed).alias("at")).limit(DRIVER_KEYS + 1).collect()
+    if len(few) <= DRIVER_KEYS:
+        few = sorted({(r["at"], tuple(r["key"])) for r in few})
+        picked = _greedy([k for _, k in few], n, combine)
+        return spark.createDataFrame([(i, list(k), None if far is None else int(far)) for i, (k, far) in enumerate(picked, 1)], "lm_ord int, key array<string>, radius int")
     state = stored(keys.select("key", _place(seed).alias("at"), F.lit(2**31 - 1).alias("far")))
     first = state.agg(F.min_by("key", F.struct("at", "key"))).first()[0]
     chosen: list[tuple] = [(1, first, None)] if first is not None else []
@@ -53,40 +60,18 @@ def farthest_first(keys: DataFrame, n: int, seed: int = 42, combine: str = "sum"
     return spark.createDataFrame(chosen, "lm_ord int, key array<string>, radius int")
 
 
-def _greedy(points: list[tuple], n: int, delta) -> list[tuple]:
-    far = np.full(len(points), np.inf)
-    at, out = 0, []
-    while len(out) < min(n, len(points)):
-        out.append(points[at])
-        far = np.minimum(far, delta(points, points[at]))
-        if not far.max() > 0:
-            break
+def _greedy(keys: list[tuple], n: int, combine: str = "sum") -> list[tuple]:
+    """Farthest-first over keys in memory: (key, distance at which it was chosen); ties go to the first."""
+    far, at, out = np.full(len(keys), np.inf), 0, []
+    while keys and len(out) < n:
+        out.append((keys[at], None if not out else far[at]))
+        far = np.minimum(far, key_matrix(keys, [keys[at]], combine)[:, 0])
         at = int(np.argmax(far))
+        if not far[at] > 0:
+            break
     return out
 
 
-def edit_distances(a: list[tuple], b: tuple) -> np.ndarray:
-    """Summed edit distances of many keys to one, by one dynamic program over all of them."""
-    total = np.zeros(len(a))
-    for i, target in enumerate(b):
-        words = [x[i] for x in a]
-        most = max(map(len, words), default=0)
-        codes = np.zeros((len(words), most), dtype=np.int64)
-        for r, w in enumerate(words):
-            codes[r, : len(w)] = [ord(c) for c in w]
-        lengths = np.array([len(w) for w in words])
-        row = np.tile(np.arange(most + 1), (len(words), 1))
-        for j, c in enumerate(target, 1):
-            new = np.empty_like(row)
-            new[:, 0] = j
-            change = row[:, :-1] + (codes != ord(c))
-            for k in range(1, most + 1):
-                new[:, k] = np.minimum(np.minimum(change[:, k - 1], row[:, k] + 1), new[:, k - 1] + 1)
-            row = new
-        total += row[np.arange(len(words)), lengths]
-    return total
-
-
 def farthest_first_coreset(keys: DataFrame, n: int, seed: int = 42) -> DataFrame:
     """Farthest-first in one pass: each task picks ``n`` of its own keys, and the driver ``n`` of all picks.
 
@@ -97,12 +82,12 @@ def farthest_first_coreset(keys: DataFrame, n: int, seed: int = 42) -> DataFrame
     def pick(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         best: list[tuple] = []
         for b in batches:
-            best = _greedy(best + [tuple(k) for k in b.column(0).to_pylist()], n, edit_distances)
+            best = [k for k, _ in _greedy(best + [tuple(k) for k in b.column(0).to_pylist()], n)]
         yield pa.RecordBatch.from_arrays([pa.array([list(k) for k in best], pa.list_(pa.string()))], ["key"])
 
     picks = sorted({tuple(r["key"]) for r in keys.select("key").mapInArrow(pick, "key array<string>").collect()})
-    chosen = _greedy(picks, n, edit_distances)
-    return keys.sparkSession.createDataFrame([(i, list(k)) for i, k in enumerate(chosen, 1)], "lm_ord int, key array<string>")
+    chosen = _greedy(picks, n)
+    return keys.sparkSession.createDataFrame([(i, list(k)) for i, (k, _) in enumerate(chosen, 1)], "lm_ord int, key array<string>")
 
 
 def cover_radius(keys: DataFrame, landmarks: list[list[str]], combine: str = "sum") -> DataFrame:

@@ -14,6 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from metricblock.functions.distance import key_delta
+from metricblock.functions.edit_kernel import key_matrix
 from metricblock.operators.clusters import drop, stored
 
 DRIVER_ROWS, DISTRIBUTED_ROWS = 5_000, 50_000
@@ -107,15 +108,9 @@ def lsmds(delta: np.ndarray, k: int, solver: str = "majorize", weights: np.ndarr
     return aligned(x), trace
 
 
-def landmark_delta(spark, landmarks: list[list[str]], combine: str = "sum") -> np.ndarray:
-    """The dissimilarities of the landmarks among each other, computed in parallel."""
-    ids = spark.createDataFrame([(i, k) for i, k in enumerate(landmarks)], "i int, key array<string>")
-    n = spark.sparkContext.defaultParallelism
-    rows = ids.repartition(n).select("i", F.transform(F.lit(landmarks), lambda x: key_delta(F.col("key"), x, combine).cast("int")).alias("row")).collect()
-    out = np.zeros((len(landmarks), len(landmarks)))
-    for r in rows:
-        out[r["i"]] = r["row"]
-    return out
+def landmark_delta(landmarks: list[list[str]], combine: str = "sum", weights: tuple[float, ...] | None = None) -> np.ndarray:
+    """The dissimilarities of the landmarks among each other."""
+    return key_matrix(landmarks, landmarks, combine, weights)
 
 
 def lsmds_distributed(keys: DataFrame, k: int, max_iter: int = 30, tol: float = 1e-4, seed: int = 42, combine: str = "sum", force: bool = False) -> tuple[DataFrame, list[float]]:

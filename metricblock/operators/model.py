@@ -12,7 +12,6 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from metricblock.functions.distance import delta_to_landmarks
 from metricblock.operators import landmarks as lm
 from metricblock.operators import mds
 from metricblock.operators.placement import ALL_ANCHORS, PlacementOptions, place
@@ -60,7 +59,7 @@ class EmbeddingModel:
             own = keys if len(spec.parts()) == 1 else keys.select(F.array(F.get("key", F.lit(i))).alias("key")).distinct()
             combine = "sum" if part.combine == "split_space" else part.combine
             chosen = lm.choose(own, L, landmarks, seed, combine)
-            delta = mds.landmark_delta(keys.sparkSession, chosen, combine)
+            delta = mds.landmark_delta(chosen, combine, part.weights)
             coords, trace = mds.lsmds(delta, K, solver, init=init, seed=seed)
             spaces.append(Space(part, chosen, coords, trace))
         return cls(spec, tuple(spaces), placement, uuid.uuid4().hex, index_coords)
@@ -77,10 +76,9 @@ class EmbeddingModel:
             if len(self.spaces) > 1:
                 own = own.withColumns({"_whole": F.col("key"), "key": F.array(F.get("key", F.lit(i)))})
             combine = "sum" if space.spec.combine == "split_space" else space.spec.combine
-            measured = delta_to_landmarks(own, space.keys, combine)
             # the columns besides the key ride along, once
             ride = ("key", *more) if len(self.spaces) == 1 else ("key", "_whole", *more)
-            placed = place(measured, space.coords, self.placement, id_col, more=ride)
+            placed = place(own, space.keys, space.coords, self.placement, id_col, combine, space.spec.weights, ride)
             if self.index_coords == "mds":
                 fixed = keys.sparkSession.createDataFrame([(k, c) for k, c in zip(space.keys, space.coords.tolist(), strict=True)], "key array<string>, fixed array<double>")
                 placed = placed.join(F.broadcast(fixed), "key", "left").withColumn("coords", F.coalesce("fixed", "coords")).drop("fixed")
@@ -115,8 +113,7 @@ def place_against_all(keys: DataFrame, embedded: DataFrame, options: PlacementOp
     if len(rows) > ALL_ANCHORS:
         raise ValueError(f"over {ALL_ANCHORS} anchors: use landmarks")
     rows.sort(key=lambda r: r["key"])
-    measured = delta_to_landmarks(keys.select("key_id", "key"), [r["key"] for r in rows], combine)
-    return place(measured, np.array([r["coords"] for r in rows]), options, more=("key",))
+    return place(keys, [r["key"] for r in rows], np.array([r["coords"] for r in rows]), options, combine=combine, more=("key",))
 
 
 def complete_embedding(keys: DataFrame, K: int = 7, solver: str = "majorize", init: str = "classical", seed: int = 42, combine: str = "sum", force: bool = False) -> tuple[DataFrame, list[float]]:
@@ -125,14 +122,14 @@ def complete_embedding(keys: DataFrame, K: int = 7, solver: str = "majorize", in
     if n > mds.DRIVER_ROWS or solver == "distributed":
         return mds.lsmds_distributed(keys, K, seed=seed, combine=combine, force=force)
     rows = keys.select("key_id", "key").orderBy("key", "key_id").collect()
-    coords, trace = mds.lsmds(mds.landmark_delta(keys.sparkSession, [r["key"] for r in rows], combine), K, solver, init=init, seed=seed)
+    coords, trace = mds.lsmds(mds.landmark_delta([r["key"] for r in rows], combine), K, solver, init=init, seed=seed)
     return keys.sparkSession.createDataFrame([(r["key_id"], r["key"], c) for r, c in zip(rows, coords.tolist(), strict=True)], "key_id long, key array<string>, coords array<double>"), trace
 
 
 def sweep_dimension(keys: DataFrame, Ks: Sequence[int], L: int = 300, landmarks: str = "random", init: str = "random", seed: int = 42) -> DataFrame:
     """``(k, stress, seconds)`` of landmark scaling: where the curve flattens is the dimension to take."""
     spark = keys.sparkSession
-    delta = mds.landmark_delta(spark, lm.choose(keys, L, landmarks, seed))
+    delta = mds.landmark_delta(lm.choose(keys, L, landmarks, seed))
     rows = []
     for k in Ks:
         began = time.perf_counter()

@@ -14,14 +14,18 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from metricblock.functions.edit_kernel import key_matrix
+
 SOLVERS = ("sgd", "gd", "majorize", "gauss_newton")
 #: Anchors of the un-scaled form, which measures every value against all embedded ones.
 ALL_ANCHORS = 5_000
+#: A point this near to an anchor has no direction from it.
+TINY = 1e-7
 
 
 @dataclass(frozen=True)
 class PlacementOptions:
-    solver: str = "majorize"
+    solver: str = "gauss_newton"
     start: str = "linear"
     max_iter: int = 60
     tol: float = 1e-5
@@ -31,13 +35,14 @@ class PlacementOptions:
     seed: int = 42
 
 
-def _gaps(y: np.ndarray, anchors: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    gap = y[:, None, :] - anchors[None, :, :]
-    return gap, np.sqrt(np.einsum("ijk,ijk->ij", gap, gap))
+def _distances(y: np.ndarray, anchors: np.ndarray) -> np.ndarray:
+    """Values x anchors, by one matrix product instead of an array of all gaps."""
+    squares = (y**2).sum(axis=1)[:, None] + (anchors**2).sum(axis=1) - 2 * (y @ anchors.T)
+    return np.sqrt(np.maximum(squares, 0))
 
 
 def losses(y: np.ndarray, anchors: np.ndarray, delta: np.ndarray) -> np.ndarray:
-    return ((_gaps(y, anchors)[1] - delta) ** 2).sum(axis=1)
+    return ((_distances(y, anchors) - delta) ** 2).sum(axis=1)
 
 
 def starts(anchors: np.ndarray, delta: np.ndarray, how: str, seeds: np.ndarray) -> np.ndarray:
@@ -84,23 +89,28 @@ def place_batch(anchors: np.ndarray, delta: np.ndarray, seeds: np.ndarray, optio
         return best, loss
     if options.solver not in SOLVERS:
         raise ValueError(options.solver)
+    k = anchors.shape[1]
+    outer = (anchors[:, :, None] * anchors[:, None, :]).reshape(len(anchors), k * k)
     active = np.arange(len(y))
     step = np.full(len(y), 1.0)
     for _ in range(options.max_iter):
         if not len(active):
             break
         at, want = y[active], delta[active]
-        gap, d = _gaps(at, anchors)
-        pull = 1 - np.divide(want, d, out=np.ones_like(d), where=d > 0)
-        slope = np.einsum("ij,ijk->ik", pull, gap) / len(anchors)
+        d = _distances(at, anchors)
+        pull = 1 - np.divide(want, d, out=np.ones_like(d), where=d > TINY)
+        slope = (pull.sum(axis=1)[:, None] * at - pull @ anchors) / len(anchors)
         if options.solver == "majorize":
             new = at - slope
         elif options.solver == "gd":
             new = at - step[active][:, None] * slope
         else:
-            unit = np.divide(gap, d[:, :, None], out=np.zeros_like(gap), where=d[:, :, None] > 0)
-            normal = np.einsum("ijk,ijl->ikl", unit, unit) + (1e-3 * len(anchors)) * np.eye(anchors.shape[1])
-            new = at - np.linalg.solve(normal, np.einsum("ijk,ij->ik", unit, d - want)[..., None])[..., 0]
+            near = np.divide(1.0, d**2, out=np.zeros_like(d), where=d > TINY)  # sum of outer products of unit gaps
+            pulled = near @ anchors
+            cross = at[:, :, None] * pulled[:, None, :]
+            normal = near.sum(axis=1)[:, None, None] * (at[:, :, None] * at[:, None, :]) - cross - cross.transpose(0, 2, 1) + (near @ outer).reshape(-1, k, k)
+            normal += (1e-3 * len(anchors)) * np.eye(k)
+            new = at - np.linalg.solve(normal, slope[..., None] * len(anchors))[..., 0]
         gain = keep(new, active)
         y[active] = np.where((gain > 0)[:, None], new, best[active])
         step[active] = np.where(gain > 0, step[active] * 1.1, step[active] / 2)
@@ -111,19 +121,23 @@ def place_batch(anchors: np.ndarray, delta: np.ndarray, seeds: np.ndarray, optio
     return best, loss
 
 
-def place(keys: DataFrame, anchors: np.ndarray, options: PlacementOptions, id_col: str = "key_id", delta_col: str = "delta", more: tuple[str, ...] = ()) -> DataFrame:
-    """``(id, *more, coords, loss)`` from a column of dissimilarities to the anchors, which is dropped at once."""
+def place(keys: DataFrame, landmarks: list[list[str]], anchors: np.ndarray, options: PlacementOptions, id_col: str = "key_id", combine: str = "sum", weights: tuple[float, ...] | None = None, more: tuple[str, ...] = ()) -> DataFrame:
+    """``(id, *more, coords, loss)`` of ``keys(id, key)``: measured against the landmarks and placed in one narrow pass.
+
+    The dissimilarities exist for one slice of rows at a time and are never a column.
+    """
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in keys.select(id_col, *more).schema)
+    rows = max(256, min(4096, (1 << 21) // max(1, len(landmarks))))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for a in range(0, whole.num_rows, 2048):
-                b = whole.slice(a, 2048)
-                delta = b.column(delta_col).flatten().to_numpy().reshape(b.num_rows, -1)
+            for a in range(0, whole.num_rows, rows):
+                b = whole.slice(a, rows)
+                delta = key_matrix(b.column("key").to_pylist(), landmarks, combine, weights)
                 y, loss = place_batch(anchors, delta, b.column("_seed").to_numpy(), options)
                 yield pa.RecordBatch.from_arrays([*(b.column(c) for c in (id_col, *more)), pa.array(y.tolist(), pa.list_(pa.float64())), pa.array(loss)], [id_col, *more, "coords", "loss"])
 
-    seeded = keys.select(id_col, *more, delta_col, F.xxhash64("key", F.lit(options.seed)).alias("_seed"))
+    seeded = keys.select(id_col, *dict.fromkeys([*more, "key"]), F.xxhash64("key", F.lit(options.seed)).alias("_seed"))
     return seeded.mapInArrow(run, f"{fields}, coords array<double>, loss double")
 
 

@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from metricblock.functions.distance import delta_to_landmarks
+from metricblock.functions.edit_kernel import key_matrix
 from metricblock.operators import knn
 from metricblock.operators.clusters import stored
 from metricblock.operators.model import EmbeddingModel
@@ -79,10 +79,10 @@ class ReferenceIndex:
         return near.join(keys.select("q_id", "key"), "q_id")
 
     def _fused(self, keys: DataFrame, k: int) -> DataFrame:
-        """Distances in the JVM, then placement and search in one Python pass; stateless, so it also runs on streams."""
+        """Landmark distances, placement and search in one narrow pass; stateless, so it also runs on streams."""
         space, tree, options = self.model.spaces[0], self.tree(), self.model.placement
         combine = "sum" if space.spec.combine == "split_space" else space.spec.combine
-        measured = delta_to_landmarks(keys.select("q_id", "key"), space.keys, combine).withColumn("_seed", F.xxhash64("key", F.lit(options.seed)))
+        seeded = keys.select("q_id", "key", F.xxhash64("key", F.lit(options.seed)).alias("_seed"))
         fixed = {tuple(key): c for key, c in zip(space.keys, space.coords, strict=True)} if self.model.index_coords == "mds" else {}
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -90,7 +90,7 @@ class ReferenceIndex:
                 for a in range(0, whole.num_rows, 1024):
                     b = whole.slice(a, 1024)
                     keys = b.column("key").to_pylist()
-                    delta = b.column("delta").flatten().to_numpy().reshape(b.num_rows, -1)
+                    delta = key_matrix(keys, space.keys, combine, space.spec.weights)
                     y, _ = place_batch(space.coords, delta, b.column("_seed").to_numpy(), options)
                     for i, key in enumerate(keys):
                         if tuple(key) in fixed:
@@ -107,7 +107,7 @@ class ReferenceIndex:
                     ]
                     yield pa.RecordBatch.from_arrays(columns, ["q_id", "key", "n_id", "rank", "dist"])
 
-        return measured.mapInArrow(run, "q_id long, key array<string>, n_id long, rank int, dist double")
+        return seeded.mapInArrow(run, "q_id long, key array<string>, n_id long, rank int, dist double")
 
     def match(self, queries: DataFrame, k: int = 150, theta: float = 2, id_col: str = "q_id", emit: str = "matches", probes: int | None = None) -> DataFrame:
         """``(q_id, rec_id, delta, rank, dist)``: reference records in the query's block at most ``theta`` away.

@@ -5,6 +5,7 @@ from hypothesis import strategies as st
 
 from metricblock import workloads as W
 from metricblock.functions.distance import _osa
+from metricblock.functions.edit_kernel import edit_matrix, key_matrix
 from metricblock.operators import landmarks, mds
 from metricblock.operators.model import EmbeddingModel, place_against_all, sweep_dimension
 from metricblock.operators.placement import SOLVERS, PlacementOptions, losses, place_batch
@@ -105,9 +106,34 @@ def test_coreset_covers_nearly_as_well(spark, keys):
     assert exact <= core <= 3 * exact and exact <= rand
 
 
-def test_edit_distances_of_a_batch():
-    words = [("kitten",), ("",), ("sitting",), ("ab",)]
-    assert landmarks.edit_distances(words, ("sitting",)).tolist() == [3, 7, 0, 7]
+def plain_edits(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        row, last = [i], row
+        for j, y in enumerate(b, 1):
+            row.append(min(last[j] + 1, row[-1] + 1, last[j - 1] + (x != y)))
+    return row[-1]
+
+
+@given(st.lists(st.text("abcé東", max_size=7), max_size=8), st.lists(st.text("abcé東", max_size=7), max_size=5))
+@settings(max_examples=150, deadline=None)
+def test_edit_matrix(values, targets):
+    got = edit_matrix(values, targets)
+    assert got.tolist() == [[plain_edits(a, b) for b in targets] for a in values]
+
+
+def test_long_strings_and_combinations():
+    assert edit_matrix(["a" * 300, ""], ["a" * 299 + "b", "x" * 400]).tolist() == [[1, 400], [300, 400]]
+    keys, marks = [["ab", "c"], ["", "cd"]], [["abc", "d"]]
+    assert key_matrix(keys, marks).tolist() == [[2], [4]]
+    assert key_matrix(keys, marks, "weighted", (2.0, 0.5)).tolist() == [[2.5], [6.5]]
+    assert key_matrix(keys, marks, "concat").tolist() == [[2], [3]]
+
+
+def test_farthest_first_in_passes_equals_the_driver(keys, monkeypatch):
+    small = landmarks.farthest_first(keys, 6).orderBy("lm_ord").collect()
+    monkeypatch.setattr(landmarks, "DRIVER_KEYS", 10)
+    assert landmarks.farthest_first(keys, 6).orderBy("lm_ord").collect() == small
 
 
 def test_model_round_trip(spark, keys, tmp_path):
