@@ -358,7 +358,7 @@ REPORT = PREFIX + ", t AS (SELECT (SELECT count(*) FROM pairs) AS n_b, (SELECT c
 
 def report(spark, sf):
     records = W.names_dedup(spark, sf)
-    return measures.blocking_report(prefix_pairs(spark, sf), W.gold_pairs(records), W.DEDUP)
+    return measures.blocking_report(prefix_pairs(spark, sf), W.gold_pairs(records), records.count())
 
 
 @query(REPORT + " SELECT n_b, round(1 - n_b / (n * (n - 1.0)), 6) AS rr, round(1 - n_b / (n * (n - 1.0) / 2), 6) AS rr_unordered FROM t")

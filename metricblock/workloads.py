@@ -98,11 +98,11 @@ def corrupted(df: DataFrame, typos: tuple[int, int], tag: str) -> DataFrame:
     first, *others = _corrupt_steps(typos, SPARK_HASH, tag)
     out = out.selectExpr("*", *first)
     for i, step in enumerate(others):
-        if i and i % 3 == 0:  # steps that are merged into one expression grow beyond what can be compiled
+        if i and i % 2 == 0:  # steps that are merged into one expression grow beyond what can be compiled
             out = stored(out)
         keep = [c for c in out.columns if c not in ("given", "surname")]
         out = out.selectExpr(*keep, *step)
-    return out.drop("seed")
+    return stored(out.drop("seed"))
 
 
 def corrupted_sql(source: str, keep: list[str], typos: tuple[int, int], tag: str, name: str) -> str:
