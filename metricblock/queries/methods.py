@@ -16,6 +16,7 @@ from metricblock.operators.model import EmbeddingModel, complete_embedding, swee
 from metricblock.operators.placement import placement_loss, placement_step
 from metricblock.operators.querymatch import ReferenceIndex, budgeted, exact_prefilter, link
 from metricblock.operators.records import BlockingSpec, blocking_keys, key_dictionary
+from metricblock.operators.tuning import tune
 from metricblock.queries.distances import PART, r6
 from metricblock.queries.registry import query
 
@@ -491,3 +492,23 @@ def dedup_iterative(spark, sf):
 def sweep_dimensions(spark, sf):
     keys = key_dictionary(blocking_keys(W.names_ref(spark, sf), "rec_id", NAMES))
     return sweep_dimension(keys, (1, 2, 4, 7, 10), L=150).withColumn("seconds", F.round("seconds", 3))
+
+
+@query()
+def tune_settings(spark, sf):
+    return tune(W.names_ref(spark, sf), W.names_query(spark, sf), NAMES, Ks=(4, 7), Ls=(50, 100), ks=(50, 150), landmarks="farthest_first")
+
+
+@query("SELECT item_id, doc_id FROM benchmark b, documents d WHERE contains(d.text, b.text)")
+def wl_benchmark_passages(spark, sf):
+    """Documents that hold a benchmark passage: a run of its words is the blocking key, the text decides.
+
+    The key starts with the passage's second word, since the first may be the end of a longer one.
+    """
+    words = F.split(F.trim("text"), r"\s+")
+    n = 6
+    b = W.table(spark, sf, "benchmark").select("item_id", F.col("text").alias("passage"), F.xxhash64(F.slice(words, 2, n)).alias("k"))
+    d = W.table(spark, sf, "documents").select("doc_id", words.alias("w"))
+    runs = d.where(F.size("w") >= n).select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - n + 1), lambda i: F.xxhash64(F.slice("w", i, n))))).alias("k"))
+    near = runs.join(b, "k").select("doc_id", "item_id", "passage")
+    return near.join(W.table(spark, sf, "documents").select("doc_id", "text"), "doc_id").where(F.contains("text", F.col("passage"))).select("item_id", "doc_id")

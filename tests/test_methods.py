@@ -144,3 +144,23 @@ def test_spaces_per_attribute(spark, names):
     got, true = set(rows(index.match(names[1], 60, 2), "q_id", "rec_id", "delta")), scanned(names, 2)
     assert index.model.dimension == 6 and got <= true and len(got) > 0.8 * len(true)
     assert isinstance(index.model, EmbeddingModel)
+
+
+def test_tuning_ranks_by_matches_within_a_cost(names):
+    from metricblock.operators.tuning import tune
+
+    got = tune(*names, NAMES, Ks=(2, 5), Ls=(20,), ks=(5, 40), landmarks="random", most_ops=5_000).orderBy("place").collect()
+    assert len(got) == 4 and got[0]["tp"] >= got[1]["tp"]
+    free = tune(*names, NAMES, Ks=(2,), Ls=(20,), ks=(5, 40), landmarks="random").orderBy("place").collect()
+    assert free[0]["tp"] >= free[1]["tp"]
+
+
+def test_sql_functions(spark, names, index):
+    from metricblock.functions.sql import register
+
+    assert "lb_knn" in register(spark, index)
+    row = spark.sql("SELECT lb_qgram('abc', 'abd') AS q, lb_osa('abcd', 'bacd') AS o, lb_jaro('x', 'x') AS j").first()
+    assert (row["q"], row["o"], row["j"]) == (2, 1, 1.0)
+    index.points.createOrReplaceTempView("mb_points")
+    near = spark.sql("SELECT p.key_id, t.n_id, t.dist FROM mb_points p, LATERAL lb_knn(p.coords, 1) t").collect()
+    assert len(near) == index.points.count() and all(r["dist"] == 0 for r in near)
