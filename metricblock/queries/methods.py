@@ -80,7 +80,7 @@ def anchored(spark, sf):
     n = W.table(spark, sf, "nation").select(F.col("n_nationkey").alias("k"))
     ring = n.select("k", F.array(*[F.cos(F.col("k") + F.lit(j * 0.7)) for j in range(7)]).alias("x"), (1.0 + F.col("k") % 3).cast("double").alias("delta"))
     one = ring.agg(F.array_sort(F.collect_list(F.struct("k", "x", "delta"))).alias("all"))
-    wide = W.space7(spark, sf).crossJoin(F.broadcast(one))  # one row of anchors
+    wide = W.space7(spark, sf).withColumn("all", one.select(F.col("all")).scalar())
     return wide.select("id", "coords", F.transform("all", lambda a: a["x"]).alias("anchors"), F.transform("all", lambda a: a["delta"]).alias("delta"))
 
 

@@ -9,6 +9,7 @@ from metricblock import workloads as W
 from metricblock.operators.querymatch import ReferenceIndex
 from metricblock.queries.methods import LIMIT, NAMES, SCAN
 from metricblock.queries.registry import query
+from metricblock.queries.relational import VERSIONS
 from metricblock.sources.scratch import scratch_path
 from metricblock.streaming.matching import drained, first_unmatched, match_stream, once_each
 from metricblock.workloads import table
@@ -106,6 +107,15 @@ def stream_state_absorb(spark, sf):
     return run(first_unmatched(keys)).select("key")
 
 
+@query(f"WITH {VERSIONS} SELECT e.event_id, v.version FROM events e ASOF JOIN versions v ON e.ts >= v.valid_from")
+def stream_asof_reference(spark, sf):
+    """Each streamed event with the reference version of its time; versions begin with a day, which makes the join an equality."""
+    days = table(spark, sf, "events").select(F.date_trunc("day", "ts").alias("day")).distinct()
+    versions = days.withColumn("version", F.row_number().over(Window.orderBy("day")).cast("long"))
+    asked = event_stream(spark, sf).withColumn("day", F.date_trunc("day", "ts"))
+    return run(asked.join(versions, "day").select("event_id", "version"))
+
+
 @query("SELECT user_id, arg_max(event_type, ts) AS last_type FROM events GROUP BY user_id")
 def stream_latest(spark, sf):
     e = event_stream(spark, sf).groupBy("user_id").agg(F.max_by("event_type", "ts").alias("last_type"))
