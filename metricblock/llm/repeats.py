@@ -33,7 +33,7 @@ from metricblock.llm.common import drop, stored, text_of
 from metricblock.llm.hashing import INVERSE, mixed, powers, prefixes, spans, word_hashes
 
 PLACE_BITS = 26
-CHUNK = 1 << 20
+CHUNK = 1 << 18
 FLUSH = 1 << 19
 NO_ID = -(1 << 63)
 KEY = ["doc", "tag"]
@@ -232,7 +232,7 @@ STRETCHES = "doc long, tag int, start int, stop int"
 Solver = Callable[[list[bytes], "Kind"], np.ndarray]
 
 
-def _solved(kind: Kind, solver: Solver, block_bytes: int = 1 << 20):
+def _solved(kind: Kind, solver: Solver, block_bytes: int = 1 << 18):
     """Stretches of the pieces' windows that count as repeats; all pieces of a gram are in one block."""
 
     def solve(rows: list[tuple]) -> pa.RecordBatch:
