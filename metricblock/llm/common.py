@@ -1,13 +1,14 @@
-"""What the operators of this package share: scratch tables, column guards, table access."""
+"""What the operators of this package share: tables, words, texts."""
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from metricblock.sources.scratch import drop, scratch_root, stored
+
+__all__ = ["WORD", "drop", "scratch_root", "stored", "table", "text_of"]
+
 #: A word, in Java's, Python's and DuckDB's syntax: what ASCII white space leaves.
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -16,41 +17,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def scratch_root(spark: SparkSession) -> str:
-    """The folder that driver and executors share.
-
-    A cluster names it in ``spark.checkpoint.dir``.  Where that is unset, as in tests on
-    one machine, a temporary folder is set once for the session.
-    """
-    sc = spark.sparkContext
-    root = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir")
-    if root:
-        return root.rstrip("/")
-    if not sc.getCheckpointDir():
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="llm-scratch-"))
-    return sc.getCheckpointDir().rstrip("/")
-
-
-def stored(df: DataFrame) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back, which cuts its lineage.
-
-    Lost executors cost nothing that is in such a table.  The path is in ``stored_at``.
-    """
-    spark = df.sparkSession
-    path = f"{scratch_root(spark)}/tables/{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    out = spark.read.schema(df.schema).parquet(path)
-    out.stored_at = path
-    return out
-
-
-def drop(df: DataFrame) -> None:
-    """Remove a table that ``stored`` wrote and that no later plan reads."""
-    spark = df.sparkSession
-    path = spark._jvm.org.apache.hadoop.fs.Path(df.stored_at)
-    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
-
-
 def text_of(column: str = "text") -> F.Column:
     """The whole text; null counts as empty."""
     return F.coalesce(F.col(column).cast("string"), F.lit(""))

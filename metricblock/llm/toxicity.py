@@ -29,8 +29,8 @@ SAMPLE = 4_000
 VOCABULARY = 2_048
 NEIGHBOURS = 15
 BLOCK = 64
-#: What a term's label statistic has to reach: chi-square with one degree of freedom at about 1e-4.
-TELLING = 15.0
+#: What a term's label statistic has to reach: chi-square with one degree of freedom at about 0.0016.
+TELLING = 10.0
 LEAST_EXAMPLES = 3
 PRIOR = 0.5
 
