@@ -1,12 +1,15 @@
 """Toxicity by nearest labelled examples, over a block-max inverted index.
 
-Texts and examples are TF-IDF vectors over a vocabulary of terms that tell the labels apart;
-document frequencies are counted over the whole corpus.  The nearest examples by cosine are
-found exactly: postings lie in blocks of examples, each term knows its largest weight in each
-block, so a block's best possible cosine is known before it is opened, and blocks that cannot
-reach the neighbours found so far stay closed.  The neighbours vote with their similarity; a
-logistic curve, fitted to the votes that the examples get from each other, makes the vote a
-probability.  The neighbours are the evidence.
+Texts and examples are TF-IDF vectors over all their terms; none is left out.  The nearest
+examples by cosine are found exactly: postings lie in blocks of examples, each term knows its
+largest weight in each block that has it, so a block's best possible cosine is known before it
+is opened, and blocks that cannot reach the neighbours found so far stay closed.  The neighbours
+vote with their similarity; a logistic curve, fitted to the votes that the examples get from
+each other, makes the vote a probability.  The neighbours are the evidence.
+
+Terms that no example has add to a text's length alone, which changes no order of neighbours.
+So the search runs without them; their document frequencies are counted and joined by term
+afterwards, and each text's cosines are divided by its whole length.
 
 Examples are a bounded number of labelled documents: ``SAMPLE``, the first in a seeded order.
 """
@@ -21,18 +24,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from metricblock.llm.common import table, text_of
+from metricblock.llm.common import stored, table, text_of
 from metricblock.llm.hashing import word_hashes
 from metricblock.llm.line_crf import labelled_sample
 
 SAMPLE = 4_000
-VOCABULARY = 2_048
 NEIGHBOURS = 15
 BLOCK = 64
-#: What a term's label statistic has to reach: chi-square with one degree of freedom at about 0.0016.
-TELLING = 10.0
-LEAST_EXAMPLES = 3
 PRIOR = 0.5
+#: Squared lengths are summed in whole steps of this size, so that the order of rows changes nothing.
+STEP = 2.0**-32
 
 LOWERED = np.arange(256, dtype=np.uint8)
 LOWERED[65:91] += 32
@@ -63,48 +64,62 @@ def known(hashes: np.ndarray, vocabulary: np.ndarray) -> tuple[np.ndarray, np.nd
     return hit, place[hit]
 
 
+def stretches(starts: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """Positions of stretches of ``n`` each from ``starts`` on, one after the other."""
+    reach = np.cumsum(n)
+    return np.arange(reach[-1] if len(reach) else 0) + np.repeat(starts - reach + n, n)
+
+
 @dataclass
 class BlockMaxIndex:
-    """Postings by block and term.  ``find`` gives the exact best examples by inner product."""
+    """Postings by term and block.  ``find`` gives the exact best examples by inner product."""
 
     width: int
     examples: int
-    pointers: np.ndarray = field(repr=False)  # of (block, term), into the postings
+    cells: np.ndarray = field(repr=False)  # of a term, into the blocks that have it
+    block: np.ndarray = field(repr=False)  # of a cell
+    largest: np.ndarray = field(repr=False)  # of a cell
+    pointers: np.ndarray = field(repr=False)  # of a cell, into the postings
     where: np.ndarray = field(repr=False)  # example of a posting
     weight: np.ndarray = field(repr=False)
-    largest: np.ndarray = field(repr=False)  # term x block
 
     @classmethod
     def build(cls, example: np.ndarray, term: np.ndarray, weight: np.ndarray, examples: int, width: int) -> BlockMaxIndex:
         blocks = max(1, -(-examples // BLOCK))
-        cell = (example // BLOCK) * width + term
+        cell = term.astype(np.int64) * blocks + example // BLOCK
         order = np.lexsort((example, cell))
-        pointers = np.searchsorted(cell[order], np.arange(blocks * width + 1))
-        largest = np.zeros(blocks * width)
-        np.maximum.at(largest, cell, weight)
-        return cls(width, examples, pointers, example[order], weight[order], np.ascontiguousarray(largest.reshape(blocks, width).T))
+        example, weight = example[order].astype(np.int32), weight[order]
+        found, first = np.unique(cell[order], return_index=True)
+        largest = np.maximum.reduceat(weight, first) if len(first) else np.zeros(0)
+        return cls(width, examples, np.searchsorted(found, np.arange(width + 1) * blocks), (found % blocks).astype(np.int32), largest, np.append(first, len(weight)), example, weight)
 
     def find(self, terms: np.ndarray, weights: np.ndarray, k: int, without: int = -1, at_once: int = 4) -> tuple[np.ndarray, np.ndarray]:
         """Examples and cosines, best first, ties to the first example; only those with a term in common."""
-        bound = weights @ self.largest[terms]
+        n = self.cells[terms + 1] - self.cells[terms]
+        cells, weights = stretches(self.cells[terms], n), np.repeat(weights, n)
+        blocks = max(1, -(-self.examples // BLOCK))
+        block = self.block[cells]
+        bound = np.bincount(block, weights=self.largest[cells] * weights, minlength=blocks)
         order = np.argsort(-bound, kind="stable")
+        rank = np.empty(blocks, dtype=np.int64)
+        rank[order] = np.arange(blocks)
+        by_rank = np.argsort(rank[block], kind="stable")
+        cells, weights = cells[by_rank], weights[by_rank]
+        ends = np.cumsum(np.bincount(block, minlength=blocks)[order])
         best, near = np.zeros(0, dtype=np.int64), np.zeros(0)
-        for at in range(0, len(order), at_once):
-            blocks = order[at : at + at_once]
-            if bound[blocks[0]] <= 0 or len(near) == k and bound[blocks[0]] < near[-1] - 1e-9:
+        at = 0
+        while at < blocks:
+            if bound[order[at]] <= 0 or len(near) == k and bound[order[at]] < near[-1] - 1e-9:
                 break
-            cells = (blocks[:, None] * self.width + terms).ravel()
-            start = self.pointers[cells]
-            n = self.pointers[cells + 1] - start
-            reach = np.cumsum(n)
-            at_posting = np.arange(reach[-1]) + np.repeat(start - reach + n, n)
-            example = self.where[at_posting]
-            slot = np.searchsorted(np.sort(blocks), example // BLOCK) * BLOCK + example % BLOCK
-            score = np.bincount(slot, weights=self.weight[at_posting] * np.repeat(np.tile(weights, len(blocks)), n), minlength=len(blocks) * BLOCK)
-            hit = np.flatnonzero(score > 0)
-            found = np.sort(blocks)[hit // BLOCK] * BLOCK + hit % BLOCK
-            score, found = score[hit][found != without], found[found != without]
-            best, near = np.concatenate([best, found]), np.concatenate([near, score])
+            opened = slice(ends[at - 1] if at else 0, ends[min(blocks, at + at_once) - 1])
+            at, at_once = at + at_once, at_once * 2
+            start = self.pointers[cells[opened]]
+            n = self.pointers[cells[opened] + 1] - start
+            at_posting = stretches(start, n)
+            score = np.bincount(self.where[at_posting], weights=self.weight[at_posting] * np.repeat(weights[opened], n))
+            found = np.flatnonzero(score > 0)
+            found = found[found != without]
+            best, near = np.concatenate([best, found]), np.concatenate([near, score[found]])
             top = np.lexsort((best, -near))[:k]
             best, near = best[top], near[top]
         return best, near
@@ -134,19 +149,23 @@ class ToxicityModel:
         slope, shift = self.curve
         return 1 / (1 + np.exp(-np.clip(slope * np.log(vote / (1 - vote)) + shift, -30, 30)))
 
-    def judge(self, texts: list[bytes], k: int = NEIGHBOURS, with_evidence: bool = True) -> tuple[np.ndarray, list[list[dict]]]:
-        """Score of each text, and its evidence unless that isn't wanted."""
+    def search(self, texts: list[bytes], k: int = NEIGHBOURS) -> Iterator[tuple[np.ndarray, np.ndarray, float, np.ndarray, np.ndarray]]:
+        """For each text its nearest examples, their cosines times the text's length, what the known terms give of
+        that length, squared, and the hashes and counts of the terms that no example has."""
         doc, hashes = terms_of(texts)
-        hit, place = known(hashes, self.vocabulary)
-        doc, term, n = counted(doc[hit], place, max(1, len(self.vocabulary)))
-        weight, begins = self.vectors(doc, term, n, len(texts))
-        votes, evidence = np.full(len(texts), self.vote(np.zeros(0, dtype=np.int64), np.zeros(0))), []
-        for i, (a, b) in enumerate(zip(begins[:-1], begins[1:], strict=True)):
-            example, near = self.index.find(term[a:b], weight[a:b], k) if b > a else (np.zeros(0, dtype=np.int64), np.zeros(0))
-            votes[i] = self.vote(example, near)
-            if with_evidence:
-                evidence.append([{"doc_id": d, "cosine": c, "toxic": t} for d, c, t in zip(self.ids[example].tolist(), near.tolist(), self.toxic[example].astype(int).tolist(), strict=True)])
-        return self.probability(votes), evidence
+        terms, term = np.unique(hashes, return_inverse=True)
+        doc, term, n = counted(doc, term, max(1, len(terms)))
+        hit, found = known(terms, self.vocabulary)
+        place = np.full(len(terms), -1, dtype=np.int64)
+        place[hit] = found
+        place = place[term]
+        begins = np.searchsorted(doc, np.arange(len(texts) + 1))
+        for a, b in zip(begins[:-1], begins[1:], strict=True):
+            here = place[a:b]
+            mine, other = here[here >= 0], here < 0
+            weight = (1 + np.log(n[a:b][~other])) * self.rarity[mine]
+            example, near = self.index.find(mine, weight, k) if len(mine) else (np.zeros(0, dtype=np.int64), np.zeros(0))
+            yield example, near, float(weight @ weight), terms[term[a:b][other]], n[a:b][other]
 
 
 def _sample_terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -188,18 +207,6 @@ def _frequencies(vocabulary: np.ndarray, at_once: int = 1 << 20):
     return run
 
 
-def telling_terms(label: np.ndarray, doc: np.ndarray, term: np.ndarray, most: int = VOCABULARY) -> np.ndarray:
-    """Terms by which the labels differ most: hashes, sorted.  Presence only, by chi-square."""
-    terms, place = np.unique(term, return_inverse=True)
-    seen = np.bincount(place, minlength=len(terms)).astype(float)
-    seen_toxic = np.bincount(place, weights=label[doc], minlength=len(terms))
-    n, toxic = len(label), label.sum()
-    spread = seen * (n - seen) * toxic * (n - toxic)
-    chi = np.divide(n * (seen_toxic * n - seen * toxic) ** 2, spread, out=np.zeros(len(terms)), where=spread > 0)
-    fit = np.flatnonzero((chi >= TELLING) & (seen >= LEAST_EXAMPLES))
-    return np.sort(terms[fit[np.lexsort((terms[fit], -chi[fit]))][:most]])
-
-
 def train(docs: DataFrame, labels: DataFrame, modulus: int = 5, left_out: int = 0, sample: int = SAMPLE, k: int = NEIGHBOURS) -> ToxicityModel:
     """The model for ``labels.toxic``: at most ``sample`` examples; term frequencies from all of ``docs``."""
     rows = labelled_sample(docs, labels, "toxic", sample, modulus, left_out, seed=3).mapInArrow(_sample_terms, "doc_id long, label int, terms binary, counts binary").collect()
@@ -208,7 +215,7 @@ def train(docs: DataFrame, labels: DataFrame, modulus: int = 5, left_out: int =
     terms = [np.frombuffer(r["terms"], dtype=np.uint64) for r in rows]
     doc = np.repeat(np.arange(len(rows)), [len(t) for t in terms])
     flat = np.concatenate([np.zeros(0, dtype=np.uint64), *terms])
-    vocabulary = telling_terms(label, doc, flat)
+    vocabulary = np.unique(flat)
 
     frequency, texts = np.zeros(len(vocabulary)), 0
     for r in docs.select(text_of().cast("binary").alias("text")).mapInArrow(_frequencies(vocabulary), "place long, n long").groupBy("place").agg(F.sum("n").alias("n")).collect() if len(vocabulary) else ():
@@ -245,17 +252,17 @@ def _curve(votes: np.ndarray, label: np.ndarray, rounds: int = 50) -> tuple[floa
     return max(float(theta[0]), 1e-3), float(theta[1])
 
 
-def _judged(model: ToxicityModel, evidence: bool, at_once: int = 1 << 20):
-    shape = pa.list_(pa.struct([("doc_id", pa.int64()), ("cosine", pa.float64()), ("toxic", pa.int32())]))
+def _searched(model: ToxicityModel, at_once: int = 1 << 20):
+    types = (pa.list_(pa.int32()), pa.list_(pa.float64()), pa.float64(), pa.list_(pa.struct([("term", pa.int64()), ("n", pa.int32())])))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            scores, found, held, size = [np.zeros(0)], [], [], 0
+            rows, held, size = [], [], 0
 
             def add():
-                score, why = model.judge(held, with_evidence=evidence)
-                scores.append(score)
-                found.extend(why)
+                for example, near, known_part, terms, n in model.search(held):
+                    others = zip(terms.view(np.int64).tolist(), n.tolist(), strict=True) if len(example) else ()
+                    rows.append((example.tolist(), near.tolist(), known_part, [{"term": t, "n": c} for t, c in others]))
 
             for text in b.column(1):
                 held.append(text.as_py())
@@ -265,7 +272,28 @@ def _judged(model: ToxicityModel, evidence: bool, at_once: int = 1 << 20):
                     held, size = [], 0
             if held:
                 add()
-            columns = [b.column(0), pa.array(np.concatenate(scores))] + ([pa.array(found, shape)] if evidence else [])
+            columns = zip(*rows, strict=True) if rows else [()] * 4
+            yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(c, t) for c, t in zip(columns, types, strict=True))], ["doc_id", "examples", "near", "known", "others"])
+
+    return run
+
+
+def _scored(model: ToxicityModel, evidence: bool):
+    """Cosines, votes and scores of the rows of ``_searched``, whose length is whole now."""
+    shape = pa.list_(pa.struct([("doc_id", pa.int64()), ("cosine", pa.float64()), ("toxic", pa.int32())]))
+    ids, toxic, votes_of, probability = model.ids, model.toxic, model.vote, model.probability
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            votes, why = np.zeros(b.num_rows), []
+            length = np.sqrt(b.column("square").to_numpy(zero_copy_only=False))
+            for i, (example, near) in enumerate(zip(b.column("examples").to_pylist(), b.column("near").to_pylist(), strict=True)):
+                example = np.array(example, dtype=np.int64)
+                near = np.array(near) / (length[i] or 1)
+                votes[i] = votes_of(example, near)
+                if evidence:
+                    why.append([{"doc_id": d, "cosine": c, "toxic": t} for d, c, t in zip(ids[example].tolist(), near.tolist(), toxic[example].astype(int).tolist(), strict=True)])
+            columns = [b.column("doc_id"), pa.array(probability(votes))] + ([pa.array(why, shape)] if evidence else [])
             yield pa.RecordBatch.from_arrays(columns, ["doc_id", "score", "evidence"][: len(columns)])
 
     return run
@@ -274,12 +302,23 @@ def _judged(model: ToxicityModel, evidence: bool, at_once: int = 1 << 20):
 def score_toxicity(docs: DataFrame, model: ToxicityModel, evidence: bool = True) -> DataFrame:
     """``(doc_id, score, evidence)`` for each row; ``evidence`` lists the nearest examples with cosine and label.
 
-    Null texts count as empty; a text without a term of the vocabulary has no neighbours and
-    gets the score of that case.  Repeated rows get a row each; other columns are ignored; an
-    empty table gives no rows, and a model without examples scores by its prior alone.
+    Terms that no example has are weighted by their frequency in ``docs``.  Null texts count as
+    empty; a text without a term of any example has no neighbours and gets the score of that
+    case.  Repeated rows get a row each; other columns are ignored; an empty table gives no
+    rows, and a model without examples scores by its prior alone.
     """
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().cast("binary").alias("text"))
-    return texts.mapInArrow(_judged(model, evidence), "doc_id long, score double" + ", evidence array<struct<doc_id: long, cosine: double, toxic: int>>" * evidence)
+    found = texts.mapInArrow(_searched(model), "doc_id long, examples array<int>, near array<double>, known double, others array<struct<term: long, n: int>>")
+    found = stored(found.withColumn("row", F.monotonically_increasing_id()))
+    total = found.count()
+    words = found.select("row", F.inline("others"))
+    often = words.groupBy("term").agg(F.count("*").alias("docs")).where("docs > 1")
+    rarity = F.log((total + 1) / (F.coalesce("docs", F.lit(1)) + 1)) + 1e-3
+    square = F.pow((1 + F.log("n")) * rarity, 2)
+    rest = words.join(often, "term", "left").groupBy("row").agg((F.sum(F.round(square / STEP).cast("long")) * STEP).alias("rest"))
+    whole = found.drop("others").join(rest, "row", "left").select("doc_id", "examples", "near", (F.col("known") + F.coalesce("rest", F.lit(0.0))).alias("square"))
+    slim = ToxicityModel(np.zeros(0), np.zeros(0), None, model.ids, model.toxic, model.base, model.curve)
+    return whole.mapInArrow(_scored(slim, evidence), "doc_id long, score double" + ", evidence array<struct<doc_id: long, cosine: double, toxic: int>>" * evidence)
 
 
 def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

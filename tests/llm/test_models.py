@@ -81,6 +81,26 @@ def test_block_max_search_is_exact():
         assert np.allclose(near, score[found]) and np.allclose(near, score[order])
 
 
+def test_toxicity_is_the_cosine_over_all_terms(spark):
+    rows = [(i, f"common word number{i} only{i} only{i} here", i % 2) for i in range(40)]
+    rows += [(40, "common strange stranger strange", None), (41, "strange word", None), (42, rows[7][1], None), (43, "nothing shared", None)]
+    docs = spark.createDataFrame([r[:2] for r in rows], "doc_id long, text string")
+    model = toxicity.train(docs, spark.createDataFrame([(r[0], r[2]) for r in rows if r[2] is not None], "doc_id long, toxic int"))
+    vectors, texts = {}, {r[0]: r[1].split() for r in rows}
+    for i, t in texts.items():
+        v = {w: (1 + np.log(t.count(w))) * (np.log(45 / (1 + sum(w in o for o in texts.values()))) + 1e-3) for w in t}
+        vectors[i] = {w: x / np.sqrt(sum(y * y for y in v.values())) for w, x in v.items()}
+    found = {r["doc_id"]: r["evidence"] for r in toxicity.score_toxicity(docs, model).collect()}
+    examples = [r[0] for r in rows if r[2] is not None and zlib.crc32(str(r[0]).encode()) % 5 != 0]
+    for i in texts:
+        exact = sorted((sum(x * vectors[e].get(w, 0) for w, x in vectors[i].items()) for e in examples), reverse=True)
+        exact = [c for c in exact if c > 0][: toxicity.NEIGHBOURS]
+        assert np.allclose([e["cosine"] for e in found[i]], exact)
+        assert all(np.isclose(e["cosine"], sum(x * vectors[e["doc_id"]].get(w, 0) for w, x in vectors[i].items())) for e in found[i])
+    assert len(found[40]) == toxicity.NEIGHBOURS and not found[43]
+    assert (found[42][0]["doc_id"] == 7) == (7 in examples)
+
+
 def test_labels_are_read_from_the_given_rows_only(spark, tables):
     docs, labels, _ = tables
     kept = labels.where(F.crc32(F.col("doc_id").cast("string")) % 5 != 0)
