@@ -25,6 +25,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from metricblock.llm.common import stored, table, text_of
 from metricblock.operators.clusters import components
@@ -69,6 +70,18 @@ def simhash(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), text_of().cast("binary").alias("text")).mapInArrow(_fingerprints, "doc_id long, fingerprint long")
 
 
+def fingerprinted(docs: DataFrame) -> DataFrame:
+    """``docs`` with one more column, ``fingerprint long``."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            found = np.fromiter((fingerprint(x.as_py()) for x in b.column(b.num_columns - 1)), dtype=np.uint64, count=b.num_rows)
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(found.view(np.int64))], [*b.schema.names[:-1], "fingerprint"])
+
+    schema = StructType([*docs.schema.fields, StructField("fingerprint", LongType())])
+    return docs.select("*", text_of().cast("binary").alias("_bytes")).mapInArrow(run, schema)
+
+
 @cache
 def golay_tables() -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Remainders of the bytes at their three places; changes of the index, by remainder; their number."""
@@ -145,6 +158,12 @@ def near_pairs(prints: DataFrame) -> DataFrame:
     return twos.unionByName(threes).unionByName(stars)
 
 
+def rooted(prints: DataFrame) -> DataFrame:
+    """``prints``, whose ``fingerprint`` has no repeats, with the fingerprint that stands for each one's component in ``root``."""
+    joined = components(near_pairs(prints.select("fingerprint")))
+    return prints.join(joined.withColumnRenamed("id", "fingerprint"), "fingerprint", "left").withColumn("root", F.coalesce("component", "fingerprint"))
+
+
 def near_duplicates(docs: DataFrame) -> DataFrame:
     """``(doc_id, fingerprint long, component_id)`` for each row of ``docs``.
 
@@ -155,8 +174,7 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     """
     marked = stored(simhash(docs))
     prints = stored(marked.groupBy("fingerprint").agg(F.min("doc_id").alias("first")))
-    joined = components(near_pairs(prints.select("fingerprint")))
-    roots = prints.join(joined.withColumnRenamed("id", "fingerprint"), "fingerprint", "left").withColumn("root", F.coalesce("component", "fingerprint"))
+    roots = rooted(prints)
     least = roots.groupBy("root").agg(F.min("first").alias("component_id"))
     named = roots.join(least, "root").select(F.col("fingerprint").alias("print"), "component_id")
     return marked.join(named, F.col("fingerprint") == F.col("print")).select("doc_id", "fingerprint", "component_id")
