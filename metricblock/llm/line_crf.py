@@ -25,6 +25,8 @@ from metricblock.llm.common import table, text_of
 from metricblock.llm.hashing import word_hashes
 
 SAMPLE = 4_000
+#: Longer texts (in bytes) are no examples; they are scored like any other.
+LONGEST_EXAMPLE = 1 << 18
 BUCKETS = 10
 FEATURES = ("length", "words", "upper", "digits", "symbols", "points", "bars", "shouts", "high", "again", "variety", "word_length", "copies", "ends")
 
@@ -221,12 +223,15 @@ def _sample_features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBat
         yield pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(columns, (pa.int64(), pa.int32(), pa.binary()), strict=True)], ["doc_id", "label", "features"])
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, column: str, most: int, modulus: int, left_out: int, seed: int = 9) -> DataFrame:
-    """At most ``most`` labelled ids, the first in a seeded order, whose crc32 modulo ``modulus`` isn't ``left_out``."""
+def labelled_sample(docs: DataFrame, labels: DataFrame, column: str, most: int, modulus: int, left_out: int, seed: int = 9, longest: int = LONGEST_EXAMPLE) -> DataFrame:
+    """At most ``most`` labelled ids, the first in a seeded order, whose crc32 modulo ``modulus`` isn't ``left_out``.
+
+    Texts of more than ``longest`` bytes aren't given, so what the driver gets has a bound.
+    """
     held = F.crc32(F.col("doc_id").cast("string")) % modulus
     ids = labels.where(F.col("doc_id").isNotNull() & F.col(column).isin(0, 1) & (held != left_out)).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.min(column).cast("int").alias("label"))
     ids = ids.orderBy(F.xxhash64(F.lit(seed), "doc_id"), "doc_id").limit(most)
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().cast("binary").alias("text")).join(F.broadcast(ids), "doc_id").select("doc_id", "text", "label")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().cast("binary").alias("text")).where(F.octet_length("text") <= longest).join(F.broadcast(ids), "doc_id").select("doc_id", "text", "label")
 
 
 def train(docs: DataFrame, labels: DataFrame, modulus: int = 3, left_out: int = 1, sample: int = SAMPLE) -> LineChain:

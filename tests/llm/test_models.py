@@ -72,8 +72,8 @@ def test_block_max_search_is_exact():
     dense = rng.random((500, 40)) * (rng.random((500, 40)) < 0.2)
     dense[100:110] = dense[7]
     example, term = np.nonzero(dense)
-    index = toxicity.BlockMaxIndex.build(example, term, dense[example, term], 500, 40)
-    for q in dense[::25]:
+    for q, panel in itertools.product(dense[::25], (0, 8, 40)):
+        index = toxicity.BlockMaxIndex.build(example, term, dense[example, term], 500, 40, panel)
         terms = np.flatnonzero(q)
         score = dense @ q
         order = [i for i in np.lexsort((np.arange(500), -np.round(score, 9))) if score[i] > 0][:15]
@@ -86,9 +86,11 @@ def test_toxicity_is_the_cosine_over_all_terms(spark):
     rows += [(40, "common strange stranger strange", None), (41, "strange word", None), (42, rows[7][1], None), (43, "nothing shared", None)]
     docs = spark.createDataFrame([r[:2] for r in rows], "doc_id long, text string")
     model = toxicity.train(docs, spark.createDataFrame([(r[0], r[2]) for r in rows if r[2] is not None], "doc_id long, toxic int"))
+    gain_of = dict(zip(model.vocabulary.tolist(), model.gain.tolist(), strict=True))
+    gain = lambda w: gain_of.get(int(toxicity.terms_of([w.encode()])[1][0]), toxicity.FLOOR)
     vectors, texts = {}, {r[0]: r[1].split() for r in rows}
     for i, t in texts.items():
-        v = {w: (1 + np.log(t.count(w))) * (np.log(45 / (1 + sum(w in o for o in texts.values()))) + 1e-3) for w in t}
+        v = {w: gain(w) * (1 + np.log(t.count(w))) * (np.log(45 / (1 + sum(w in o for o in texts.values()))) + 1e-3) for w in t}
         vectors[i] = {w: x / np.sqrt(sum(y * y for y in v.values())) for w, x in v.items()}
     found = {r["doc_id"]: r["evidence"] for r in toxicity.score_toxicity(docs, model).collect()}
     examples = [r[0] for r in rows if r[2] is not None and zlib.crc32(str(r[0]).encode()) % 5 != 0]
