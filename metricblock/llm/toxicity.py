@@ -40,7 +40,7 @@ LONGEST_EXAMPLE = 1 << 18
 NEIGHBOURS = 25
 BLOCK = 64
 #: Terms of the index that are kept as a dense panel.
-PANEL = 192
+PANEL = 512
 PRIOR = 0.1
 #: The least gain of a term, and the chi-square at which the gain is a half.
 FLOOR, HALF = 0.1, 50.0
@@ -299,13 +299,30 @@ def train(docs: DataFrame, labels: DataFrame, modulus: int = 5, left_out: int =
     order = np.lexsort((place, doc[hit]))
     doc, term, n = doc[hit][order], place[order], n[hit][order]
     weight, begins = model.vectors(doc, term, n, len(rows))
-    model.index = BlockMaxIndex.build(doc, term, weight, len(rows), max(1, len(vocabulary)))
+    place = similar_together(doc, term, weight, label, max(1, len(vocabulary)))
+    order = np.argsort(place)
+    model.ids, model.toxic = ids[order], label[order]
+    model.index = BlockMaxIndex.build(place[doc], term, weight, len(rows), max(1, len(vocabulary)))
     fit = np.flatnonzero(~fold)
-    votes = np.array([model.vote(*model.index.find(term[begins[i] : begins[i + 1]], weight[begins[i] : begins[i + 1]], k, without=i)) for i in fit])
+    votes = np.array([model.vote(*model.index.find(term[begins[i] : begins[i + 1]], weight[begins[i] : begins[i + 1]], k, without=int(place[i]))) for i in fit])
     model.curve = _curve(votes, label[fit])
     return model
 
 
+def similar_together(doc: np.ndarray, term: np.ndarray, weight: np.ndarray, label: np.ndarray, width: int, most: int = 256) -> np.ndarray:
+    """Places of the examples, by label and by angle on the second and third singular vector of the commonest terms.
+
+    Any order gives the same neighbours; this one gives blocks of similar examples, whose bounds are tight.
+    """
+    panel = BlockMaxIndex.build(doc, term, weight, len(label), width, most).panel
+    if min(panel.shape) < 3:
+        return np.arange(len(label))
+    _, _, axes = np.linalg.svd(panel, full_matrices=False)
+    place = np.empty(len(label), dtype=np.int64)
+    place[np.lexsort((np.arctan2(axes[2], axes[1]), label))] = np.arange(len(label))
+    return place
+
+
 def _curve(votes: np.ndarray, label: np.ndarray, rounds: int = 50) -> tuple[float, float]:
     """Slope and shift of a logistic curve over the log odds of the votes, by Newton steps with a weak prior."""
     if not len(label) or label.min() == label.max():
