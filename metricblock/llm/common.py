@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from metricblock.sources.scratch import drop, scratch_root, stored
 
-__all__ = ["WORD", "drop", "scratch_root", "stored", "table", "text_of"]
+__all__ = ["WORD", "drop", "scratch_root", "stored", "table", "text_of", "unused"]
 
 #: A word, in Java's, Python's and DuckDB's syntax: what ASCII white space leaves.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -20,3 +20,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def text_of(column: str = "text") -> F.Column:
     """The whole text; null counts as empty."""
     return F.coalesce(F.col(column).cast("string"), F.lit(""))
+
+
+def unused(df: DataFrame, *names: str) -> list[str]:
+    """``names``, each with underscores put before it until no column of ``df`` has that name."""
+    taken, found = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name = "_" + name
+        found.append(name)
+    return found

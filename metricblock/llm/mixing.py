@@ -123,7 +123,7 @@ def _reached(histogram: DataFrame, takes: DataFrame, key: str, keep: Sequence[st
 
 
 def mix(docs: DataFrame, membership, size, weights: Callable[[list], dict], share: float = 1.5, most: int = 2, seed: int = 17, boundary: str = "split") -> DataFrame:
-    """``docs`` with ``_size``, ``_pattern``, ``_taken`` (tokens, repeats counted), and the table of sources.
+    """``docs`` with ``_size``, ``_pattern``, ``_taken`` (tokens, repeats counted; columns of these names are replaced), and the table of sources.
 
     ``membership`` is an array of source names (null is a name too); ``size`` a column of whole
     numbers; ``weights`` maps the sorted list of sources to their weights.  The mix takes
@@ -135,9 +135,11 @@ def mix(docs: DataFrame, membership, size, weights: Callable[[list], dict], shar
     gives no rows.  Returns (documents, sources as dict name -> (size, target)).
     """
     spark = docs.sparkSession
+    own = [c for c in docs.columns if c not in ("_size", "_pattern", "_taken")]
     base = stored(
         docs.select(
-            "*",
+            F.struct(*[F.col(f"`{c}`") for c in own]).alias("_row"),
+            F.col("doc_id").alias("_doc"),
             F.coalesce(size.cast("long"), F.lit(0)).alias("_size"),
             F.array_sort(F.array_distinct(membership), _null_last).alias("_pattern"),
             F.xxhash64(F.lit(seed), F.col("doc_id")).alias("_order"),
@@ -172,14 +174,14 @@ def mix(docs: DataFrame, membership, size, weights: Callable[[list], dict], shar
     key, cut = F.struct("_coarse", "_fine"), F.struct(F.col("cut_coarse").alias("_coarse"), F.col("cut_fine").alias("_fine"))
     at_cut = F.coalesce((key == cut) & F.col("cut_need").isNotNull(), F.lit(False))
     clear = known.where(~at_cut).withColumn("_more", F.when(F.col("cut_need").isNotNull() & (key < cut), F.col("_size")).otherwise(F.lit(0)))
-    before = F.sum("_size").over(Window.partitionBy("_pattern").orderBy("_order", "doc_id", "_size").rowsBetween(Window.unboundedPreceding, -1))
+    before = F.sum("_size").over(Window.partitionBy("_pattern").orderBy("_order", "_doc", "_size").rowsBetween(Window.unboundedPreceding, -1))
     want = F.greatest(F.lit(0), F.least(F.col("_size"), F.col("cut_need") - F.coalesce(before, F.lit(0))))
     if boundary == "whole":
         want = F.when(want * 2 >= F.col("_size"), F.col("_size")).otherwise(F.lit(0))
     edge = known.where(at_cut).withColumn("_more", want)
     taken = clear.unionByName(edge).withColumn("_taken", F.col("copies") * F.col("_size") + F.col("_more"))
     report = {s: (source_size[s], target[s]) for s in names}
-    return taken.drop("_order", "_coarse", "_fine", "copies", "cut_coarse", "cut_fine", "cut_need", "_more"), report
+    return taken.select("_row.*", "_size", "_pattern", "_taken"), report
 
 
 def _null_last(a, b):

@@ -20,6 +20,7 @@ Nothing is sampled or capped, and the rows at every step grow with the repeated
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass, replace
 
@@ -30,13 +31,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from metricblock.llm.common import drop, stored, text_of
-from metricblock.llm.hashing import INVERSE, mixed, powers, prefixes, spans, word_hashes
+from metricblock.llm.hashing import INVERSE, mixed, powers, prefixes, word_hashes
 
 PLACE_BITS = 26
 CHUNK = 1 << 18
 FLUSH = 1 << 19
 NO_ID = -(1 << 63)
 KEY = ["doc", "tag"]
+KEYED = b"repeated stretches"
 
 
 @dataclass(frozen=True)
@@ -91,7 +93,19 @@ def runs(units: np.ndarray, lengths: np.ndarray, kind: Kind) -> tuple[np.ndarray
     stop = starts[np.concatenate([new - 1, [len(starts) - 1]])] + w
     own = doc[first]
     base = (np.cumsum(lengths) - lengths)[own]
-    return grams[place[first]], spans(sums, first, stop), own, first - base, stop - base
+    return grams[place[first]], digests(units, first, stop), own, first - base, stop - base
+
+
+def digests(units: np.ndarray, starts: np.ndarray, stops: np.ndarray) -> np.ndarray:
+    """BLAKE2b of whole stretches, 64 bits: no two different ones can be made to agree.
+
+    Two stretches count as equal only if their anchors' hashes agree as well.
+    """
+    if units.max() <= 256:
+        units = (units - np.uint64(1)).astype(np.uint8)
+    data, size, digest = memoryview(units.tobytes()), units.itemsize, hashlib.blake2b
+    found = b"".join([digest(data[a:b], digest_size=8, key=KEYED).digest() for a, b in zip((starts * size).tolist(), (stops * size).tolist(), strict=True)])
+    return np.frombuffer(found, dtype=np.uint64)
 
 
 def _chunks(batches: Iterator[pa.RecordBatch], kind: Kind) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -298,7 +312,8 @@ def _settled(texts: DataFrame, kind: Kind) -> tuple[DataFrame, DataFrame]:
     seen = stored(texts.mapInArrow(_run_rows(kind), RUNS))
     whole = seen.where("a is not null")
     grams = whole.groupBy("a").agg(F.sum("n").alias("all"), F.min("u").alias("least"), F.max("u").alias("most")).where(F.col("all") > 1)
-    shared = stored(whole.join(grams.select("a", (F.col("least") != F.col("most")).alias("mixed")), "a"))
+    grams = stored(grams.select("a", (F.col("least") != F.col("most")).alias("mixed")))  # a table, so that a hot gram's rows may be split in the join
+    shared = stored(whole.join(grams, "a"))
     here = stored(seen.where("a is null").select(*KEY, "start", "stop"))
     drop(seen)
 
@@ -308,8 +323,8 @@ def _settled(texts: DataFrame, kind: Kind) -> tuple[DataFrame, DataFrame]:
     drop(shared)
     full = known.where(~F.col("is_first") if kind.later else F.col("m") > 1).select(*KEY, "start", "stop")
     firsts = known.where("mixed and is_first").dropDuplicates(["a", "u"])
-    sizes = firsts.groupBy("a").agg((F.count("*") > kind.group_up_to).alias("hot"))
-    return full.unionByName(here), firsts.join(sizes, "a")
+    hot = stored(firsts.groupBy("a").count().where(F.col("count") > kind.group_up_to).select("a", F.lit(True).alias("hot")))
+    return full.unionByName(here), firsts.join(hot, "a", "left").withColumn("hot", F.coalesce("hot", F.lit(False)))
 
 
 def cut_stretches(docs: DataFrame, cuts: DataFrame, apply, schema: str, *columns: str) -> DataFrame:

@@ -13,10 +13,16 @@ Equal fingerprints are merged before anything is joined.  A key that more than `
 different fingerprints share isn't joined in pairs: there, fingerprints meet at the values one
 bit away from each of them.  Two that meet differ in at most two bits, and all that do so
 meet, so this is exact, and its cost is in proportion to the number of fingerprints.
+
+Texts of a given similarity, not of a given distance, need wider fingerprints: at a Jaccard
+similarity of 0.8 about 15 of 100 bits differ.  ``similar_pairs`` takes several words of 64
+bits; a key is the Golay index of a segment of 23 bits and some bits of another place that have
+to be equal, and candidates are verified on all bits.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from functools import cache
 
@@ -25,9 +31,10 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.types import LongType, StructField, StructType
+from pyspark.sql.types import ArrayType, LongType, StructField, StructType
 
-from metricblock.llm.common import stored, table, text_of
+from metricblock.llm.common import stored, table, text_of, unused
+from metricblock.llm.hashing import LENGTH, mixed
 from metricblock.operators.clusters import components
 
 #: Fixed value: the generator polynomial of the cyclic Golay code of length 23.
@@ -40,25 +47,47 @@ PAIR_UP_TO = 64
 SEED = 42
 
 
-def fingerprint(text: bytes, shingle: int = 3) -> int:
-    """A bit is 1 if set in over half of the shingles' hashes.  No word: zero."""
+def shingle_hashes(text: bytes, shingle: int) -> np.ndarray:
+    """XXH64 of each run of ``shingle`` words, A-Z lowered, repeats included; fewer words: of all; none: empty."""
     flat = b" ".join(text.lower().split())
     if not flat:
-        return 0
+        return np.zeros(0, dtype="<u8")
     gaps = np.flatnonzero(np.frombuffer(flat, dtype=np.uint8) == 32)
     n = len(gaps) + 1
     if n <= shingle:
-        return xxhash.xxh64_intdigest(flat, SEED)
+        return np.array([xxhash.xxh64_intdigest(flat, SEED)], dtype="<u8")
     starts = [0, *(gaps[: n - shingle] + 1).tolist()]
     ends = [*gaps[shingle - 1 :].tolist(), len(flat)]
     hashed = xxhash.xxh64_intdigest
-    hashes = np.array([hashed(flat[a:b], SEED) for a, b in zip(starts, ends, strict=True)], dtype="<u8")
+    return np.array([hashed(flat[a:b], SEED) for a, b in zip(starts, ends, strict=True)], dtype="<u8")
+
+
+def majority(hashes: np.ndarray) -> int:
+    """A bit is 1 if set in over half of the hashes; of none: zero."""
     ones = np.zeros(64, dtype=np.int64)
     for at in range(0, len(hashes), 8192):
         ones += np.unpackbits(hashes[at : at + 8192].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
     return int(np.packbits(ones * 2 > len(hashes), bitorder="little").view("<u8")[0])
 
 
+def fingerprint(text: bytes, shingle: int = 3) -> int:
+    """A bit is 1 if set in over half of the shingles' hashes.  No word: zero."""
+    return majority(shingle_hashes(text, shingle))
+
+
+def wide_fingerprint(text: bytes, shingle: int = 5, words: int = 8) -> list[int]:
+    """``words`` fingerprints of 64 bits from different hashes of the same different shingles."""
+    hashes = np.unique(shingle_hashes(text, shingle))
+    return [majority(mixed(hashes + np.uint64(i * int(LENGTH) % (1 << 64)))) for i in range(1, words + 1)]
+
+
+def jaccard(a: bytes, b: bytes, shingle: int = 5) -> float:
+    """Share of the different shingles of two texts that both have; two texts without words are equal."""
+    x, y = np.unique(shingle_hashes(a, shingle)), np.unique(shingle_hashes(b, shingle))
+    both = len(np.intersect1d(x, y, assume_unique=True))
+    return both / (len(x) + len(y) - both) if len(x) + len(y) else 1.0
+
+
 def _fingerprints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
         found = np.fromiter((fingerprint(x.as_py()) for x in b.column(1)), dtype=np.uint64, count=b.num_rows)
@@ -70,16 +99,155 @@ def simhash(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), text_of().cast("binary").alias("text")).mapInArrow(_fingerprints, "doc_id long, fingerprint long")
 
 
-def fingerprinted(docs: DataFrame) -> DataFrame:
-    """``docs`` with one more column, ``fingerprint long``."""
+def fingerprinted(docs: DataFrame, name: str = "fingerprint", shingle: int = 5, words: int = 8) -> DataFrame:
+    """``docs`` with one more column, ``name array<long>``: the words of the wide fingerprint."""
+    (data,) = unused(docs, "text_bytes")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            found = np.array([wide_fingerprint(x.as_py(), shingle, words) for x in b.column(b.num_columns - 1)], dtype=np.uint64).reshape(b.num_rows, words)
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(found.view(np.int64).tolist(), pa.list_(pa.int64()))], [*b.schema.names[:-1], name])
+
+    schema = StructType([*docs.schema.fields, StructField(name, ArrayType(LongType()))])
+    return docs.select("*", text_of().cast("binary").alias(data)).mapInArrow(run, schema)
+
+
+def bits_at(similarity: float, bits: int, deviations: float = 0.0) -> int:
+    """How many of ``bits`` fingerprint bits differ at a Jaccard similarity of two sets of equal size: the mean, and so many standard deviations more."""
+    share = math.acos(2 * similarity / (1 + similarity)) / math.pi
+    return math.floor(bits * share + deviations * math.sqrt(bits * share * (1 - share)))
+
+
+def equal_bits(rows: int) -> int:
+    """Bits of a key that have to be equal: more of them for larger tables, so that chance meetings stay rare."""
+    return min(18, max(9, rows.bit_length() - 11))
+
+
+def _wide_keys(prints: np.ndarray, equal: int) -> tuple[np.ndarray, np.ndarray]:
+    """Which row, and a key: the Golay index of a segment of a word, with other bits that have to be equal."""
+    rows, keys = [], []
+    width = prints.shape[1]
+    for w in range(width):
+        for near in (0, 23):
+            of, index = golay_indices((prints[:, w] >> np.uint64(near) & np.uint64((1 << 23) - 1)).astype(np.int64))
+            for other in {w, (w + 1) % width}:
+                same = (prints[:, other] >> np.uint64(64 - equal)).astype(np.int64)
+                rows.append(of)
+                keys.append((same[of] << 32) | (index << 16) | (w * 2 + (near > 0)) * 2 + (other != w))
+    return np.concatenate(rows), np.concatenate(keys)
+
+
+def _peeled(key: np.ndarray, words: np.ndarray, most: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Rows come sorted by key.  In turn: heads, and rows close to a head with that head.
+
+    The first row of each key is its head; rows that aren't close to it have a head among
+    themselves in the next turn, till none is left.
+    """
+    rest = np.arange(len(key))
+    while len(rest):
+        lead = np.ones(len(rest), dtype=bool)
+        lead[1:] = key[rest[1:]] != key[rest[:-1]]
+        head = rest[np.maximum.accumulate(np.where(lead, np.arange(len(rest)), 0))]
+        close = (np.bitwise_count(words[rest] ^ words[head]).sum(axis=1) <= most) & ~lead
+        yield rest[lead], rest[close], head[close]
+        rest = rest[~close & ~lead]
+
+
+def _local_heads(equal: int, most: int, at_once: int = 8192):
+    """Keys of a task's prints, each with one word to compare; what is close to a head here is linked to it at once."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def out(ids: np.ndarray, prints: np.ndarray) -> Iterator[pa.RecordBatch]:
+            row, key = _wide_keys(prints, equal)
+            order = np.lexsort((ids[row], key))
+            row, key = row[order], key[order]
+            for heads, close, head in _peeled(key, prints[row], most):
+                pairs = np.unique(np.stack([row[close], row[head]], axis=1), axis=0)
+                none = pa.nulls(len(pairs), pa.int64())
+                yield pa.RecordBatch.from_arrays([none, pa.array(ids[pairs[:, 0]]), pa.array(ids[pairs[:, 1]])], ["key", "id", "more"])
+                check = prints[row[heads], ((key[heads] & 0xFFFF) // 4 + 2) % prints.shape[1]].view(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(key[heads]), pa.array(ids[row[heads]]), pa.array(check)], ["key", "id", "more"])
+
+        held: list[pa.RecordBatch] = []
+        for b in batches:
+            held += [b] if b.num_rows else []
+            if sum(x.num_rows for x in held) >= at_once:
+                yield from out(*_columns(held))
+                held = []
+        if held:
+            yield from out(*_columns(held))
+
+    return run
+
+
+def _columns(held: list[pa.RecordBatch]) -> tuple[np.ndarray, np.ndarray]:
+    ids = np.concatenate([b.column(0).to_numpy() for b in held])
+    return ids, np.concatenate([b.column(1).flatten().to_numpy() for b in held]).view(np.uint64).reshape(len(ids), -1)
+
+
+def _meetings(most: int):
+    """Rows (key, id, check) come sorted by key: each is paired with a head of its key whose check word is close."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = np.zeros((0, 3), dtype=np.int64)
+
+        def out(x: np.ndarray) -> Iterator[pa.RecordBatch]:
+            for _, close, head in _peeled(x[:, 0], x[:, 2:].view(np.uint64), most):
+                pairs = np.unique(np.stack([x[close, 1], x[head, 1]], axis=1), axis=0)
+                pairs = pairs[pairs[:, 0] != pairs[:, 1]]
+                yield pa.RecordBatch.from_arrays([pa.array(pairs.min(axis=1)), pa.array(pairs.max(axis=1))], ["a", "b"])
+
+        for b in batches:
+            held = np.concatenate([held, np.stack([c.to_numpy() for c in b.columns], axis=1)])
+            last = int(np.searchsorted(held[:, 0], held[-1, 0])) if len(held) else 0
+            if last >= 1 << 16:  # the last key may go on in the next batch
+                yield from out(held[:last])
+                held = held[last:]
+        if len(held):
+            yield from out(np.ascontiguousarray(held))
+
+    return run
+
+
+def similar_pairs(prints: DataFrame, similarity: float = 0.8) -> DataFrame:
+    """Candidates ``(a, b, bits)`` among ``prints(id long, words array<long>)``: fingerprints that share a key
+    and differ in no more ``bits`` than texts of that similarity do, three standard deviations allowed.
+
+    Rows of a key are compared with its head, the first of them; those that aren't close have a
+    head of their own, and so on.  Each task does so with its own rows first, so a key of many
+    copies sends one row from each task, and its copies cost a link each, not one a pair.
+    """
+    first = prints.select(F.count("*"), F.max(F.size("words"))).first()
+    width = first[1] or 1
+    most, check = bits_at(similarity, 64 * width, 3), bits_at(similarity, 64, 3)
+    local = stored(prints.select("id", "words").mapInArrow(_local_heads(equal_bits(first[0]), most), "key long, id long, more long"))
+    met = local.where("key is not null").repartition("key").sortWithinPartitions("key", "id").mapInArrow(_meetings(check), "a long, b long")
+    linked = local.where("key is null").select(F.least("id", "more").alias("a"), F.greatest("id", "more").alias("b"))
+    side = prints.select(F.col("id"), "words")
+    pairs = met.unionByName(linked).distinct().join(side.select(F.col("id").alias("a"), F.col("words").alias("x")), "a").join(side.select(F.col("id").alias("b"), F.col("words").alias("y")), "b")
+    apart = F.aggregate(F.zip_with("x", "y", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
+    return pairs.select("a", "b", apart.alias("bits")).where(F.col("bits") <= most)
+
+
+def verified(pairs: DataFrame, texts: DataFrame, bits: int, similarity: float = 0.8, shingle: int = 5, sure: float = 0.9) -> DataFrame:
+    """Of the candidates ``(a, b, bits)`` those whose texts have that similarity.
+
+    As few differing bits as at a similarity of ``sure`` are enough; other pairs are compared by
+    their shingles, from ``texts(id, text binary)``, one row an id.
+    """
+    pairs = stored(pairs)
+    clear = F.col("bits") <= bits_at(sure, bits)
+    close = pairs.where(~clear)
+    asked = close.select(F.col("a").alias("id")).union(close.select("b")).distinct()
+    fetched = texts.join(asked, "id", "left_semi")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            found = np.fromiter((fingerprint(x.as_py()) for x in b.column(b.num_columns - 1)), dtype=np.uint64, count=b.num_rows)
-            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(found.view(np.int64))], [*b.schema.names[:-1], "fingerprint"])
+            yes = [jaccard(x.as_py(), y.as_py(), shingle) >= similarity for x, y in zip(b.column(2), b.column(3), strict=True)]
+            yield b.select(["a", "b"]).filter(pa.array(yes, pa.bool_()))
 
-    schema = StructType([*docs.schema.fields, StructField("fingerprint", LongType())])
-    return docs.select("*", text_of().cast("binary").alias("_bytes")).mapInArrow(run, schema)
+    both = close.join(fetched.select(F.col("id").alias("a"), F.col("text").alias("x")), "a").join(fetched.select(F.col("id").alias("b"), F.col("text").alias("y")), "b")
+    return both.select("a", "b", "x", "y").mapInArrow(run, "a long, b long").unionByName(pairs.where(clear).select("a", "b"))
 
 
 @cache

@@ -28,40 +28,48 @@ WIDTH = 400
 GRAM = 128
 
 
-def longest_previous_factors(data: bytes) -> np.ndarray:
-    """For each position the length of the longest string from there that also starts earlier."""
-    x = np.frombuffer(data, dtype=np.uint8).astype(np.int64) + 1
-    if not len(x):
+def longest_factors(units: np.ndarray, depth: int, later: bool = False) -> np.ndarray:
+    """For each position the length, up to ``depth``, of the longest string from there that also starts earlier (or ``later``).
+
+    In suffix order the longest match with an earlier start is with one of two neighbours: the
+    last suffix before it, or the first after it, that starts further left.
+    """
+    if not len(units):
         return np.zeros(0, dtype=np.int64)
-    rungs = suffixes.ladder(suffixes.dense(x), 1, 1 << max(1, len(x) - 1).bit_length())
-    order = np.argsort(rungs[-1][1])
-    best = np.zeros(len(x), dtype=np.int64)
-    for at in (suffixes.previous_smaller(order), suffixes.next_smaller(order)):
+    rungs = suffixes.ladder(suffixes.dense(units), 1, max(2, depth))
+    order = np.argsort(rungs[-1][1], kind="stable")
+    starts = -order if later else order
+    best = np.zeros(len(units), dtype=np.int64)
+    for at in (suffixes.previous_smaller(starts), suffixes.next_smaller(starts)):
         has = (at >= 0) & (at < len(order))
         best[order[has]] = np.maximum(best[order[has]], suffixes.common_prefix(rungs, order[has], order[at[has]]))
-    return best
+    return np.minimum(best, depth)
+
+
+def longest_previous_factors(data: bytes) -> np.ndarray:
+    """For each position the length of the longest string from there that also starts earlier."""
+    return longest_factors(np.frombuffer(data, dtype=np.uint8).astype(np.int64), 1 << max(1, len(data) - 1).bit_length())
 
 
 def repeated_windows(pieces: list[bytes], kind: Kind) -> np.ndarray:
-    """For each window of the pieces: is its longest previous factor (or, unless ``later``, next factor) as long as it?"""
-    data = np.frombuffer(b"".join(pieces) + bytes(8), dtype=np.uint8).astype(np.uint64)
-    word = np.zeros(len(data) - 8, dtype=np.uint64)
-    step = min(8, 1 << (kind.width.bit_length() - 1))
-    for i in range(step):
-        word = word << np.uint64(8) | data[i : i + len(word)]
-    rank = suffixes.ladder(suffixes.dense(word), step, kind.width)[-1][1]
+    """For each window of the pieces: is its longest previous factor (or, unless ``later``, next factor) as long as it?
+
+    Pieces lie end to end, each closed by a unit of its own, so no match crosses their borders.
+    """
     lengths = np.array([len(p) for p in pieces])
-    starts = np.cumsum(lengths) - lengths
+    starts = np.cumsum(lengths + 1) - lengths - 1
+    units = np.zeros(lengths.sum() + len(pieces), dtype=np.int64)
+    ends = starts + lengths
+    units[ends] = 256 + np.arange(len(pieces))
+    inside = np.ones(len(units), dtype=bool)
+    inside[ends] = False
+    units[inside] = np.frombuffer(b"".join(pieces), dtype=np.uint8)
     n = lengths - kind.width + 1
     windows = np.repeat(starts - (np.cumsum(n) - n), n) + np.arange(n.sum())
-    order = windows[np.argsort(rank[windows], kind="stable")]
-    depth = rank[order]
-    found = np.zeros(len(rank), dtype=bool)
-    for values in (order,) if kind.later else (order, -order):
-        for at in (suffixes.previous_smaller(values), suffixes.next_smaller(values)):
-            has = np.flatnonzero((at >= 0) & (at < len(order)))
-            found[order[has[depth[at[has]] == depth[has]]]] = True
-    return found[windows]
+    found = longest_factors(units, kind.width)[windows] >= kind.width
+    if not kind.later:
+        found |= longest_factors(units, kind.width, later=True)[windows] >= kind.width
+    return found
 
 
 def _kept(digest_only: bool):

@@ -18,6 +18,8 @@ from dataclasses import dataclass, field
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from metricblock.llm.common import unused
+
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: A filter travels inside the plan, so its size has a limit: 2**23 bits, one megabyte.
 MAX_BITS = 1 << 23
@@ -154,8 +156,9 @@ def judge_urls(urls: DataFrame, block: Sequence[tuple[str, str]], allow: Sequenc
         ),
         lambda x: x["verdict"].isNotNull(),
     )
-    best = F.get(F.col("_judged"), F.lit(0))
-    return parts.withColumn("_judged", judged).withColumns({"rule": best["key"], "verdict": F.coalesce(best["verdict"], F.lit(default))}).drop("_judged")
+    (name,) = unused(parts, "judged")
+    best = F.get(F.col(name), F.lit(0))
+    return parts.withColumn(name, judged).withColumns({"rule": best["key"], "verdict": F.coalesce(best["verdict"], F.lit(default))}).drop(name)
 
 
 BLOCK = (("net", "/"), ("example.com", "/de/"))

@@ -18,8 +18,8 @@ SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
 
 @pytest.fixture(scope="session")
 def odd(spark):
-    extra = ", score double, component_id long, size long, a long, key string"
-    rows = [(*r, 0.5, 1, 2, 3, "k") for r in ODD]
+    extra = ", score double, component_id long, size long, a long, key string, pattern string, copies long, first string, _score double, _judged string, fingerprint long, head string, id long, _size long"
+    rows = [(*r, 0.5, 1, 2, 3, "k", "p", 4, "f", 0.5, "j", 5, "h", 6, 7) for r in ODD]
     return spark.createDataFrame(rows, SCHEMA + extra)
 
 

@@ -116,8 +116,8 @@ def test_odd_rows(spark, odd, none, tables):
     no_labels = labels.limit(0)
     for model in (line_crf.train(docs, labels), line_crf.train(none, no_labels)):
         assert line_crf.score_quality(odd, model).count() == 10 and line_crf.score_quality(none, model).count() == 0
-        scored = line_crf.with_scores(odd, model)
-        assert scored.columns == [*odd.columns, "_score"] and scored.count() == 10
+        scored = line_crf.with_scores(odd, model, "line_score")
+        assert scored.columns == [*odd.columns, "line_score"] and scored.count() == 10
     assert all(r["score"] == 0.5 for r in line_crf.score_quality(odd, line_crf.train(none, no_labels)).collect())
     for model in (toxicity.train(docs, labels), toxicity.train(none, no_labels)):
         rows = toxicity.score_toxicity(odd, model).collect()
