@@ -54,22 +54,28 @@ def longest_previous_factors(data: bytes) -> np.ndarray:
 def repeated_windows(pieces: list[bytes], kind: Kind) -> np.ndarray:
     """For each window of the pieces: is its longest previous factor (or, unless ``later``, next factor) as long as it?
 
-    Pieces lie end to end, each closed by a unit of its own, so no match crosses their borders.
+    Ranks at the depth of a window say whether a common prefix is that long, so the suffixes are
+    ordered to that depth only and the neighbours that start further left (right) are compared
+    by rank; whole lengths, as ``longest_factors`` gives them, take five times as long.
     """
+    data = np.frombuffer(b"".join(pieces) + bytes(8), dtype=np.uint8).astype(np.uint64)
+    word = np.zeros(len(data) - 8, dtype=np.uint64)
+    step = min(8, 1 << (kind.width.bit_length() - 1))
+    for i in range(step):
+        word = word << np.uint64(8) | data[i : i + len(word)]
+    rank = suffixes.ladder(suffixes.dense(word), step, kind.width)[-1][1]
     lengths = np.array([len(p) for p in pieces])
-    starts = np.cumsum(lengths + 1) - lengths - 1
-    units = np.zeros(lengths.sum() + len(pieces), dtype=np.int64)
-    ends = starts + lengths
-    units[ends] = 256 + np.arange(len(pieces))
-    inside = np.ones(len(units), dtype=bool)
-    inside[ends] = False
-    units[inside] = np.frombuffer(b"".join(pieces), dtype=np.uint8)
+    starts = np.cumsum(lengths) - lengths
     n = lengths - kind.width + 1
     windows = np.repeat(starts - (np.cumsum(n) - n), n) + np.arange(n.sum())
-    found = longest_factors(units, kind.width)[windows] >= kind.width
-    if not kind.later:
-        found |= longest_factors(units, kind.width, later=True)[windows] >= kind.width
-    return found
+    order = windows[np.argsort(rank[windows], kind="stable")]
+    depth = rank[order]
+    found = np.zeros(len(rank), dtype=bool)
+    for values in (order,) if kind.later else (order, -order):
+        for at in (suffixes.previous_smaller(values), suffixes.next_smaller(values)):
+            has = np.flatnonzero((at >= 0) & (at < len(order)))
+            found[order[has[depth[at[has]] == depth[has]]]] = True
+    return found[windows]
 
 
 def _kept(digest_only: bool):

@@ -132,3 +132,16 @@ def test_cut_texts_keep_columns_and_white_space(spark):
     rows = {r["doc_id"]: r for r in passage_dedup.cut_texts(docs, 3).collect()}
     assert (rows[1]["text"], rows[2]["text"], rows[3]["text"]) == ("a b c\nd e", "z  q", None)
     assert [rows[i]["cuts"] for i in (1, 2, 3)] == ["x", "y", "w"] and rows[2]["_n_removed"] == 3
+
+
+def test_windows_are_those_of_long_factors():
+    rng = np.random.default_rng(2)
+    for later in (True, False):
+        pieces = [bytes(rng.integers(97, 99, n).astype(np.uint8)) for n in (60, 30, 44, 30)] + [b"ab" * 20]
+        units = np.concatenate([np.append(np.frombuffer(p, dtype=np.uint8).astype(np.int64), 256 + i) for i, p in enumerate(pieces)])
+        inside = np.concatenate([np.arange(len(p) + 1) <= len(p) - 9 for p in pieces])
+        long = suffix_dedup.longest_factors(units, 9) >= 9
+        if not later:
+            long |= suffix_dedup.longest_factors(units, 9, later=True) >= 9
+        found = suffix_dedup.repeated_windows(pieces, Kind("byte", 9, 3, later=later))
+        assert found.tolist() == long[inside].tolist()
