@@ -46,6 +46,19 @@ def expand_pairs(value_pairs: DataFrame, keys: DataFrame, dictionary: DataFrame)
     return across.unionByName(same)
 
 
+def expand_links(value_pairs: DataFrame, keys: DataFrame, dictionary: DataFrame) -> DataFrame:
+    """Links ``(a, b, delta)`` with the components of ``expand_pairs``, a row a record and a row a value pair.
+
+    The smallest record of a value stands for it; the others are linked to that one.
+    """
+    kind = dict(value_pairs.dtypes)["delta"]
+    of = keys.join(dictionary.select("key_id", "key"), "key").select("rec_id", "key_id")
+    heads = of.groupBy("key_id").agg(F.min("rec_id").alias("head"))
+    same = of.join(heads, "key_id").where("rec_id <> head").select(F.col("head").alias("a"), F.col("rec_id").alias("b"), F.lit(0).cast(kind).alias("delta"))
+    x, y = heads.select(F.col("key_id").alias("a"), F.col("head").alias("x")), heads.select(F.col("key_id").alias("b"), F.col("head").alias("y"))
+    return value_pairs.join(x, "a").join(y, "b").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), "delta").unionByName(same)
+
+
 def block_sizes(blocks: DataFrame) -> DataFrame:
     """How many members blocks have: one row of count, least, most and mean."""
     per = blocks.groupBy("q_id").agg(F.count("*").alias("n"))

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from metricblock.functions.distance import levenshtein, record_score
-from metricblock.operators.blocks import block_pairs, expand_pairs, filter_pairs
+from metricblock.operators.blocks import block_pairs, expand_links, expand_pairs, filter_pairs
 from metricblock.operators.clusters import clusters, representatives, stored
 from metricblock.operators.knn import self_knn
 from metricblock.operators.model import EmbeddingModel, complete_embedding
@@ -32,11 +32,14 @@ def dedup_blocks(records: DataFrame, id_col: str, spec: BlockingSpec, B: int = 5
     return self_knn(points.select("id", "coords"), B, strategy=strategy), keys, dictionary
 
 
-def dedup(records: DataFrame, id_col: str, spec: BlockingSpec, theta: float = 2, B: int = 50, K: int = 7, pairs: str = "star", embedding: str = "landmark", **how) -> DataFrame:
-    """Candidate record pairs ``(a, b, delta)``: in one block, and at most ``theta`` apart in original values."""
+def dedup(records: DataFrame, id_col: str, spec: BlockingSpec, theta: float = 2, B: int = 50, K: int = 7, pairs: str = "star", embedding: str = "landmark", expand: str = "pairs", **how) -> DataFrame:
+    """Candidate record pairs ``(a, b, delta)``: in one block, and at most ``theta`` apart in original values.
+
+    ``expand="links"`` gives as many as the components need: a frequent value costs a row a record, not a row a pair.
+    """
     blocks, keys, dictionary = dedup_blocks(records, id_col, spec, B, K, embedding, **how)
     close = filter_pairs(block_pairs(blocks, pairs), dictionary, spec, theta)
-    return expand_pairs(close, keys, dictionary)
+    return (expand_links if expand == "links" else expand_pairs)(close, keys, dictionary)
 
 
 def detailed_compare(candidates: DataFrame, records: DataFrame, id_col: str, attrs: Sequence[str], theta: float) -> DataFrame:
@@ -54,7 +57,7 @@ def iterative_er(records: DataFrame, id_col: str, spec: BlockingSpec, theta: flo
     found = stored(records.select(F.col(id_col).alias("rec_id"), F.col(id_col).alias("cluster_id")))
     current = records
     for _ in range(rounds):
-        linked = stored(dedup(current, id_col, spec, theta, **how))
+        linked = stored(dedup(current, id_col, spec, theta, expand="links", **how))
         if linked.isEmpty():
             break
         step = clusters(linked, current.select(F.col(id_col).alias("rec_id"))).select(F.col("rec_id").alias("cluster_id"), F.col("cluster_id").alias("root"))

@@ -25,7 +25,7 @@ from metricblock.operators.trees import KDTree, PartitionTree, RTree
 #: A tree over this many bytes isn't sent to executors.
 BROADCAST_BYTES = 256 << 20
 CELL_POINTS = 200_000
-SAMPLE = 20_000
+SAMPLE, SAMPLE_A_CELL = 20_000, 32
 RESULT = "q_id long, n_id long, rank int, dist double"
 
 
@@ -57,10 +57,18 @@ def _rows(found: list[tuple[int, np.ndarray, np.ndarray]]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(q), pa.array(ids.astype(np.int64)), pa.array(rank.astype(np.int32)), pa.array(dist.astype(float))], ["q_id", "n_id", "rank", "dist"])
 
 
+def shared(df: DataFrame, tree):
+    """The tree as a broadcast: an executor fetches it once, whatever its number of tasks."""
+    return df.sparkSession.sparkContext.broadcast(tree)
+
+
 def tree_search(queries: DataFrame, tree, k: int, include_self: bool = True) -> DataFrame:
     """Queries against one shipped tree: a narrow pass, no exchange."""
 
+    shipped = shared(queries, tree)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tree = shipped.value
         for b in batches:
             ids, at = b.column(0).to_pylist(), _matrix(b.column(1), b.num_rows)
             yield _rows([(i, *tree.knn(q, k, None if include_self else i)) for i, q in zip(ids, at, strict=True)])
@@ -91,16 +99,16 @@ def knn_partitioned(queries: DataFrame, points: DataFrame, k: int, include_self:
     spark = points.sparkSession
     n = points.count()
     cells = cells or max(1, -(-n // CELL_POINTS))
-    share = min(1.0, 1.2 * SAMPLE / max(n, 1))
-    sample = points.select("coords").sample(share, seed=7).limit(SAMPLE).toArrow() if share < 1 else points.select("coords").toArrow()
+    wanted = max(SAMPLE, SAMPLE_A_CELL * cells)  # a cell's split needs rows of its own
+    share = min(1.0, 1.2 * wanted / max(n, 1))
+    sample = points.select("coords").sample(share, seed=7).limit(wanted).toArrow() if share < 1 else points.select("coords").toArrow()
     tree = PartitionTree.fit(_matrix(sample["coords"], sample.num_rows) if sample.num_rows else np.zeros((0, 1)), cells)
     placed = stored(_with_cells(points, tree))
     corner = placed.select("cell", F.posexplode("coords").alias("dim", "v")).groupBy("cell", "dim").agg(F.min("v").alias("low"), F.max("v").alias("high"), F.count("*").alias("n"))
     boxes = sorted(corner.collect(), key=lambda r: (r["cell"], r["dim"]))
     names = sorted({r["cell"] for r in boxes})
-    low = np.array([[r["low"] for r in boxes if r["cell"] == c] for c in names])
-    high = np.array([[r["high"] for r in boxes if r["cell"] == c] for c in names])
-    count = np.array([next(r["n"] for r in boxes if r["cell"] == c) for c in names])
+    low, high, count = (np.array([r[c] for r in boxes], dtype=float).reshape(len(names), -1) for c in ("low", "high", "n"))
+    count = count[:, 0] if names else count
     if not names:
         return spark.createDataFrame([], RESULT)
 
@@ -166,9 +174,10 @@ def self_knn(points: DataFrame, k: int, include_self: bool = False, strategy: st
 
 def within_join(queries: DataFrame, points: DataFrame, radius: float) -> DataFrame:
     """``(q_id, n_id, dist)`` of all points at most ``radius`` away, by one shipped tree."""
-    tree = KDTree.build(*collected(points))
+    shipped = shared(queries, KDTree.build(*collected(points)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tree = shipped.value
         for b in batches:
             found = [(i, *tree.within(q, radius)) for i, q in zip(b.column(0).to_pylist(), _matrix(b.column(1), b.num_rows), strict=True)]
             rows = _rows(found)

@@ -17,6 +17,8 @@ from metricblock.operators.clusters import drop, stored
 #: Rows that exact farthest-first may pass over; each landmark costs one pass.  Up to
 #: ``DRIVER_KEYS`` distinct keys the passes run on the driver.
 EXACT_ROWS, EXACT_LANDMARKS, DRIVER_KEYS = 1_000_000, 500, 50_000
+#: Tasks whose picks are merged in one.
+MERGE = 32
 
 
 def _place(seed: int):
@@ -73,10 +75,10 @@ def _greedy(keys: list[tuple], n: int, combine: str = "sum") -> list[tuple]:
 
 
 def farthest_first_coreset(keys: DataFrame, n: int, seed: int = 42) -> DataFrame:
-    """Farthest-first in one pass: each task picks ``n`` of its own keys, and the driver ``n`` of all picks.
+    """Farthest-first in one pass: each task picks ``n`` of its own keys; picks are merged, and the driver picks ``n`` of the last.
 
-    The cover radius is within a constant factor of the exact one.  The driver gets at most ``n``
-    keys per task.
+    The cover radius is within a constant factor of the exact one at each merge.  ``MERGE`` tasks'
+    picks go to one task, until so few tasks are left; the driver gets ``n`` keys from each of those.
     """
 
     def pick(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -85,7 +87,10 @@ def farthest_first_coreset(keys: DataFrame, n: int, seed: int = 42) -> DataFrame
             best = [k for k, _ in _greedy(best + [tuple(k) for k in b.column(0).to_pylist()], n)]
         yield pa.RecordBatch.from_arrays([pa.array([list(k) for k in best], pa.list_(pa.string()))], ["key"])
 
-    picks = sorted({tuple(r["key"]) for r in keys.select("key").mapInArrow(pick, "key array<string>").collect()})
+    picked = stored(keys.select("key").mapInArrow(pick, "key array<string>"))
+    while (tasks := -(-picked.count() // max(1, n))) > MERGE:
+        picked = stored(picked.repartition(-(-tasks // MERGE), F.xxhash64("key")).mapInArrow(pick, "key array<string>"))
+    picks = sorted({tuple(r["key"]) for r in picked.collect()})
     chosen = _greedy(picks, n)
     return keys.sparkSession.createDataFrame([(i, list(k)) for i, (k, _) in enumerate(chosen, 1)], "lm_ord int, key array<string>")
 

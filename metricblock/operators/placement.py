@@ -151,7 +151,7 @@ def placement_loss(y: Column, anchors: Column, delta: Column) -> Column:
 
 
 def placement_step(y: Column, anchors: Column, delta: Column, kind: str = "majorize", rate: float = 1.0) -> Column:
-    """The point after one step: "majorize" moves to the mean of where the anchors want it; "gradient" along the slope of the loss."""
+    """The point after one step: "majorize" moves to the mean of where the anchors want it; "gradient" along the slope of the loss; "sgd" along the mean slope of the batch of anchors given."""
     from metricblock.functions.distance import minkowski
 
     n = F.size(anchors).cast("double")
@@ -163,5 +163,5 @@ def placement_step(y: Column, anchors: Column, delta: Column, kind: str = "major
     zero = F.transform(y, lambda _: F.lit(0.0))
     pulls = F.zip_with(anchors, delta, lambda x, w: F.zip_with(y, x, lambda a, b: (a - b) * pull(x, w)))
     total = F.aggregate(pulls, zero, lambda s, v: F.zip_with(s, v, lambda a, b: a + b))
-    scale = 1 / n if kind == "majorize" else F.lit(2.0 * rate)
+    scale = {"majorize": 1 / n, "sgd": F.lit(rate) / n, "gradient": F.lit(2.0 * rate)}[kind]
     return F.zip_with(y, total, lambda a, b: a - b * scale)

@@ -80,12 +80,14 @@ class ReferenceIndex:
 
     def _fused(self, keys: DataFrame, k: int) -> DataFrame:
         """Landmark distances, placement and search in one narrow pass; stateless, so it also runs on streams."""
-        space, tree, options = self.model.spaces[0], self.tree(), self.model.placement
+        space, options = self.model.spaces[0], self.model.placement
+        shipped = knn.shared(self.points, self.tree())
         combine = "sum" if space.spec.combine == "split_space" else space.spec.combine
         seeded = keys.select("q_id", "key", F.xxhash64("key", F.lit(options.seed)).alias("_seed"))
         fixed = {tuple(key): c for key, c in zip(space.keys, space.coords, strict=True)} if self.model.index_coords == "mds" else {}
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            tree = shipped.value
             for whole in batches:
                 for a in range(0, whole.num_rows, 1024):
                     b = whole.slice(a, 1024)
@@ -133,7 +135,7 @@ class ReferenceIndex:
 
         A batch counts only if it was finished in time.
         """
-        ranked = stored(queries.withColumn("_nth", F.row_number().over(Window.orderBy(order)) - 1))
+        ranked = stored(running_sum(queries, F.lit(1), (order,), "_nth").withColumn("_nth", F.col("_nth") - 1))
         total, done, parts, began = ranked.count(), 0, [], time.monotonic()
         while done < total:
             some = stored(self.match(ranked.where((F.col("_nth") >= done) & (F.col("_nth") < done + batch)).drop("_nth"), k, theta))
@@ -152,12 +154,17 @@ class ReferenceIndex:
         return self.model.landmarks * (1 + iterations * self.model.dimension) + k * float(np.log2(n))
 
     def absorb(self, unmatched: DataFrame, id_col: str = "rec_id") -> ReferenceIndex:
-        """A new version of the index with more records; values it already knows cost nothing."""
+        """A new version of the index with more records; values it already knows cost nothing, and records it knows stay once.
+
+        Trees and cells are built over all points of a version, so they are balanced again; an
+        index that has grown too large to be shipped is searched by cells from then on.
+        """
         keys = stored(blocking_keys(unmatched, id_col, self.spec))
         fresh = key_dictionary(keys).join(self.points.select("key_id"), "key_id", "left_anti")
         points = stored(self.points.unionByName(self.model.transform(fresh).select("key_id", "key", "coords")))
-        records = stored(self.records.unionByName(keys.select("rec_id", F.xxhash64("key").alias("key_id"))))
-        return ReferenceIndex(self.model, points, records, self.id_col, self.strategy, self.version + 1)
+        records = stored(self.records.unionByName(keys.select("rec_id", F.xxhash64("key").alias("key_id"))).distinct())
+        fits = knn.tree_bytes(points.count(), self.model.dimension) <= knn.BROADCAST_BYTES
+        return ReferenceIndex(self.model, points, records, self.id_col, self.strategy if fits else "partitioned", self.version + 1)
 
     def save(self, path: str) -> None:
         spark = self.points.sparkSession
@@ -183,10 +190,26 @@ def exact_prefilter(queries: DataFrame, reference: DataFrame, cols: tuple[str, .
     return hits, queries.join(reference, list(cols), "left_anti")
 
 
+def running_sum(rows: DataFrame, cost, order: tuple[str, ...], name: str) -> DataFrame:
+    """``rows`` with the running sum of ``cost`` in ``order``, summed by ranges: no task holds all rows.
+
+    The driver gets one sum from each range.
+    """
+    dealt = stored(rows.withColumn(name, cost).repartitionByRange(*order).withColumn("_range", F.spark_partition_id()))
+    sums = dict(dealt.groupBy("_range").agg(F.sum(name)).collect())
+    before, offsets = 0, []
+    for r in sorted(sums):
+        offsets.append((r, before))
+        before += sums[r]
+    kind = dict(dealt.groupBy().agg(F.sum(name).alias("s")).dtypes)["s"]
+    starts = dealt.sparkSession.createDataFrame([(r, float(b) if kind == "double" else b) for r, b in offsets], f"_range int, _before {kind}")
+    inside = F.sum(name).over(Window.partitionBy("_range").orderBy(*order).rowsBetween(Window.unboundedPreceding, 0))
+    return dealt.withColumn(name, inside).join(F.broadcast(starts), "_range").withColumn(name, F.col(name) + F.col("_before")).drop("_range", "_before")
+
+
 def budgeted(queries: DataFrame, cost, budget: float, order: tuple[str, ...]) -> DataFrame:
     """Queries, in order, whose running cost stays within the budget: the deterministic form of a time limit."""
-    running = F.sum(cost).over(Window.orderBy(*order).rowsBetween(Window.unboundedPreceding, 0))
-    return queries.withColumn("running_cost", running).where(F.col("running_cost") <= F.lit(budget))
+    return running_sum(queries, cost, order, "running_cost").where(F.col("running_cost") <= F.lit(budget))
 
 
 def link(left: DataFrame, right: DataFrame, left_id: str, right_id: str, spec: BlockingSpec, k: int = 150, theta: float = 2, **fit) -> DataFrame:

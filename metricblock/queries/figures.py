@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from metricblock import experiments as X
+from metricblock.operators.placement import PlacementOptions
 from metricblock.queries.registry import query
 
 
@@ -34,12 +35,18 @@ def exp_clique_pairs(spark, sf):
 
 @query()
 def exp_time_by_landmarks(spark, sf):
-    return X.time_by_landmarks(spark, sf, Ls=(100, 300, 700))
+    return X.time_by_landmarks(spark, sf, Ls=(100, 300, 700, 1500))
 
 
 @query()
 def exp_matches_by_landmarks(spark, sf):
-    return X.matching_curve(spark, sf, Ls=(50, 100, 300), ks=(50, 150))
+    return X.matching_curve(spark, sf, Ls=(100, 300, 700), ks=(50, 100, 150))
+
+
+@query()
+def exp_matches_by_sgd(spark, sf):
+    """The published setting with stochastic gradient descent as the placement."""
+    return X.matching_curve(spark, sf, Ls=(100, 300), ks=(150,), placement=PlacementOptions(solver="sgd"))
 
 
 @query()

@@ -13,7 +13,7 @@ from metricblock import workloads as W
 from metricblock.operators import baselines as B
 from metricblock.operators import blocks, clusters, dedup, knn, landmarks, measures, stress
 from metricblock.operators.model import EmbeddingModel, complete_embedding, sweep_dimension
-from metricblock.operators.placement import placement_loss, placement_step
+from metricblock.operators.placement import PlacementOptions, placement_loss, placement_step
 from metricblock.operators.querymatch import ReferenceIndex, budgeted, exact_prefilter, link
 from metricblock.operators.records import BlockingSpec, blocking_keys, key_dictionary
 from metricblock.operators.tuning import tune
@@ -104,6 +104,15 @@ def place_gradient_step(spark, sf):
     return anchored(spark, sf).select("id", F.posexplode(step).alias("dim", "at")).select("id", F.col("dim").cast("long").alias("dim"), r6("at").alias("at"))
 
 
+@query(ANCHORED + STEP.format(scale="0.5 / count(*)").replace("FROM m,", "FROM (SELECT * FROM m WHERE k % 5 = 0) AS m,"))
+def place_sgd_step(spark, sf):
+    """One step of stochastic gradient descent: along the mean slope over a batch of the anchors, here each fifth."""
+    some = F.filter(F.arrays_zip("anchors", "delta"), lambda x, i: i % 5 == 0)
+    batch = anchored(spark, sf).withColumn("some", some).select("id", "coords", F.col("some.anchors").alias("x"), F.col("some.delta").alias("w"))
+    step = placement_step(F.col("coords"), F.col("x"), F.col("w"), "sgd", 0.5)
+    return batch.select("id", F.posexplode(step).alias("dim", "at")).select("id", F.col("dim").cast("long").alias("dim"), r6("at").alias("at"))
+
+
 PART_KEYS = f"WITH keys AS (SELECT DISTINCT p_name AS a, p_brand AS b, p_type AS c, {W.DUCK_HASH("'lm42|' || p_name || '|' || p_brand || '|' || p_type")} AS h FROM part)"
 
 
@@ -250,6 +259,23 @@ def match_limit(spark, sf):
     return index.match(W.names_query(spark, sf), LIMIT, 2).select("q_id", "rec_id", F.col("delta").cast("long").alias("delta"))
 
 
+SGD = PlacementOptions(solver="sgd")
+
+
+@query(SCAN + " SELECT q_id, rec_id, delta FROM found WHERE delta <= 2")
+def match_limit_sgd(spark, sf):
+    """The same with placement by stochastic gradient descent and the landmarks' own coordinates in the index."""
+    index = ReferenceIndex.fit(W.names_ref(spark, sf), "rec_id", NAMES, K=4, L=30, landmarks="random", placement=SGD, index_coords="mds")
+    return index.match(W.names_query(spark, sf), LIMIT, 2).select("q_id", "rec_id", F.col("delta").cast("long").alias("delta"))
+
+
+@query(SCAN + " SELECT q_id, rec_id, delta FROM found WHERE delta <= 2 AND rec_id % 2 = 0")
+def match_half_known(spark, sf):
+    """Queries of which about half have their record in the reference."""
+    q, r = names_keys(spark, sf)
+    return B.pivot_join(q, r.where("rec_id % 2 = 0"), 2, PIVOTS)
+
+
 @query("SELECT s_suppkey AS a, c_custkey AS b, CAST(levenshtein(s_name, c_name) AS BIGINT) AS delta FROM supplier, customer WHERE levenshtein(s_name, c_name) <= 6")
 def match_link_limit(spark, sf):
     s = W.table(spark, sf, "supplier").select("s_suppkey", F.col("s_name").alias("name"))
@@ -387,6 +413,24 @@ def meas_qmr(spark, sf):
     return measures.query_match_rates(W.names_query(spark, sf), W.names_ref(spark, sf)).select(r6("qmr_reference").alias("qmr_reference"), r6("qmr_query").alias("qmr_query"))
 
 
+QMR = "WITH" + W.names_query_sql() + ", known AS (SELECT * FROM names_ref WHERE {rule}) SELECT round(count(DISTINCT r.rec_id) / (SELECT count(*) FROM known), 6) AS qmr_reference, round(count(r.rec_id) / count(*), 6) AS qmr_query FROM names_query q LEFT JOIN known r ON r.rec_id = q.entity_id"
+
+
+def match_rates(spark, sf, known):
+    return measures.query_match_rates(W.names_query(spark, sf), known).select(r6("qmr_reference").alias("qmr_reference"), r6("qmr_query").alias("qmr_query"))
+
+
+@query(QMR.format(rule="rec_id % 2 = 0"))
+def meas_qmr_half(spark, sf):
+    return match_rates(spark, sf, W.names_ref(spark, sf).where("rec_id % 2 = 0"))
+
+
+@query(QMR.format(rule="rec_id NOT IN (SELECT entity_id FROM names_query)"))
+def meas_qmr_none(spark, sf):
+    asked = W.names_query(spark, sf).select(F.col("entity_id").alias("rec_id"))
+    return match_rates(spark, sf, W.names_ref(spark, sf).join(asked, "rec_id", "left_anti"))
+
+
 @query(SCAN + " SELECT (SELECT count(*) FROM names_query) AS processed, count(*) FILTER (entity_id = rec_id) AS tp, count(*) FILTER (entity_id <> rec_id) AS fp, round(count(*) FILTER (entity_id = rec_id) / count(*), 6) AS precision, round(count(*) FILTER (entity_id = rec_id) / (SELECT count(*) FROM names_query), 6) AS recall FROM found WHERE delta <= 3")
 def meas_precision(spark, sf):
     q, r = names_keys(spark, sf)
@@ -452,6 +496,47 @@ def wl_multi_attribute(spark, sf):
     return both.select(F.col("x.p_brand").alias("brand_a"), F.col("x.p_type").alias("type_a"), F.col("y.p_brand").alias("brand_b"), F.col("y.p_type").alias("type_b"), "delta")
 
 
+DOC_KEYS = f"WITH {W.DOC_KEYS_SQL}"
+
+
+@query(DOC_KEYS + " SELECT rec_id, opening FROM doc_keys")
+def fx_doc_keys(spark, sf):
+    return W.doc_keys(spark, sf)
+
+
+@query("SELECT DISTINCT p_name AS a, p_brand AS b, p_type AS c FROM part")
+def fx_part_keys(spark, sf):
+    return part_keys(spark, sf).select(*[F.get("key", F.lit(i)).alias(n) for i, n in enumerate("abc")])
+
+
+@query(DOC_KEYS + " SELECT x.rec_id AS a, y.rec_id AS b, CAST(levenshtein(x.opening, y.opening) AS BIGINT) AS delta FROM doc_keys x JOIN doc_keys y ON x.rec_id < y.rec_id WHERE levenshtein(x.opening, y.opening) <= 3")
+def wl_doc_near_copies(spark, sf):
+    """Copies with uncontrolled errors: documents whose openings are at most three edits apart, by the exact pivot join."""
+    keys = blocking_keys(W.doc_keys(spark, sf), "rec_id", BlockingSpec(("opening",), "none"))
+    pivots = [["the quick brown fox jumps over the lazy dog"], ["and in the tion of ing er"], ["once upon a time there was a small house by the great river bank"]]
+    found = B.pivot_join(keys.withColumnRenamed("rec_id", "q_id"), keys, 3, pivots)
+    return found.where("q_id < rec_id").select(F.col("q_id").alias("a"), F.col("rec_id").alias("b"), F.col("delta").cast("long").alias("delta"))
+
+
+@query("SELECT o_custkey, c_name, count(*) AS entries, count(DISTINCT year(o_orderdate)) AS years, min(o_orderdate) AS first, max(o_orderdate) AS last FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY ALL HAVING count(DISTINCT year(o_orderdate)) > 1")
+def wl_customer_history(spark, sf):
+    """Entities that are entered again over the years."""
+    o = W.table(spark, sf, "orders").join(W.table(spark, sf, "customer"), F.col("o_custkey") == F.col("c_custkey"))
+    return o.groupBy("o_custkey", "c_name").agg(F.count("*").alias("entries"), F.count_distinct(F.year("o_orderdate")).alias("years"), F.min("o_orderdate").alias("first"), F.max("o_orderdate").alias("last")).where("years > 1")
+
+
+@query("WITH k AS (SELECT DISTINCT c_mktsegment AS s, n_name AS n FROM customer JOIN nation ON c_nationkey = n_nationkey) SELECT x.s AS segment_a, x.n AS nation_a, y.s AS segment_b, y.n AS nation_b, CAST(levenshtein(x.s, y.s) + levenshtein(x.n, y.n) AS BIGINT) AS delta FROM k x JOIN k y ON (x.s, x.n) < (y.s, y.n) WHERE levenshtein(x.s, y.s) + levenshtein(x.n, y.n) <= 3")
+def wl_customer_attributes(spark, sf):
+    """Two more blocking variables, with a space each, in the limit."""
+    spec = BlockingSpec(("s", "n"), "none", combine="split_space")
+    c = W.table(spark, sf, "customer").join(W.table(spark, sf, "nation"), F.col("c_nationkey") == F.col("n_nationkey"))
+    known = c.groupBy(F.col("c_mktsegment").alias("s"), F.col("n_name").alias("n")).agg(F.min("c_custkey").alias("id"))
+    found = dedup.dedup(known, "id", spec, theta=3, B=LIMIT, K=2, L=10, landmarks="random")
+    a, b = (known.select(F.col("id").alias(x), F.struct("s", "n").alias(f"k{x}")) for x in "ab")
+    both = found.join(a, "a").join(b, "b").select(F.least("ka", "kb").alias("x"), F.greatest("ka", "kb").alias("y"), F.col("delta").cast("long").alias("delta"))
+    return both.select(F.col("x.s").alias("segment_a"), F.col("x.n").alias("nation_a"), F.col("y.s").alias("segment_b"), F.col("y.n").alias("nation_b"), "delta")
+
+
 # --- approximate runs: no SQL form ------------------------------------------------------------
 
 
@@ -461,6 +546,25 @@ def embed_landmark(spark, sf):
     return EmbeddingModel.fit(keys, NAMES, K=7, L=100, landmarks="random").transform(keys).select("key_id", "coords", "loss")
 
 
+@query()
+def embed_sgd(spark, sf):
+    keys = key_dictionary(blocking_keys(W.names_ref(spark, sf), "rec_id", NAMES))
+    return EmbeddingModel.fit(keys, NAMES, K=7, L=100, landmarks="random", placement=SGD, index_coords="mds").transform(keys).select("key_id", "coords", "loss")
+
+
+@query()
+def match_sgd(spark, sf):
+    """The published setting with the published placement: K=7, k=150, L=100, stochastic gradient descent."""
+    index = ReferenceIndex.fit(W.names_ref(spark, sf), "rec_id", NAMES, K=7, L=100, landmarks="farthest_first", placement=SGD, index_coords="mds")
+    return index.match(W.names_query(spark, sf), 150, 2)
+
+
+@query()
+def embed_distributed(spark, sf):
+    """The complete embedding by steps that are distributed."""
+    return complete_embedding(key_dictionary(title_keys(spark, sf)), 3, solver="distributed")[0].select("key_id", "coords")
+
+
 @query()
 def embed_complete(spark, sf):
     keys = key_dictionary(title_keys(spark, sf))

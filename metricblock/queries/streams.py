@@ -7,11 +7,11 @@ from pyspark.sql import functions as F
 
 from metricblock import workloads as W
 from metricblock.operators.querymatch import ReferenceIndex
-from metricblock.queries.methods import LIMIT, NAMES, SCAN
+from metricblock.queries.methods import LIMIT, NAMES, SCAN, TITLES
 from metricblock.queries.registry import query
 from metricblock.queries.relational import VERSIONS
 from metricblock.sources.scratch import scratch_path
-from metricblock.streaming.matching import drained, first_unmatched, match_stream, once_each
+from metricblock.streaming.matching import absorbed, drained, first_unmatched, match_stream, once_each
 from metricblock.workloads import table
 
 
@@ -85,11 +85,19 @@ def stream_interval_join(spark, sf):
     return run(x.join(y, on).select("a", "b"))
 
 
-@query("SELECT count(*) AS n, count(DISTINCT user_id) AS users FROM events")
+@query("WITH e AS (SELECT *, date_trunc('millisecond', (SELECT max(ts) FROM events WHERE event_id % 4 = 1)) - INTERVAL 2 DAYS AS mark FROM events) SELECT count(*) AS n, count(DISTINCT user_id) AS users, (SELECT count(*) FROM events) - count(*) AS late FROM e WHERE event_id % 2 = 1 OR ts > mark")
 def stream_watermark_late(spark, sf):
-    """With a watermark over the whole span nothing is late, and every event is counted once."""
-    e = event_stream(spark, sf).withWatermark("ts", "10000 days").dropDuplicatesWithinWatermark(["event_id"])
-    return run(e.select("event_id", "user_id")).agg(F.count("*").alias("n"), F.count_distinct("user_id").alias("users"))
+    """Odd events come first and move the watermark on; of the even ones those older than it are late and not counted.
+
+    A batch's rows are late against the watermark of the batch before, so the odd ones come in two.
+    """
+    path = scratch_path(spark, "late")
+    events = table(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    for some in ("event_id % 4 = 1", "event_id % 4 = 3", "event_id % 2 = 0"):
+        events.where(some).coalesce(1).write.mode("append").parquet(path)
+    stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(path)
+    kept = run(stream.withWatermark("ts", "2 days").dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "user_id"))
+    return kept.agg(F.count("*").alias("n"), F.count_distinct("user_id").alias("users")).withColumn("late", F.lit(events.count()) - F.col("n"))
 
 
 @query(SCAN + " SELECT q_id, rec_id, delta FROM found WHERE delta <= 2")
@@ -100,6 +108,16 @@ def stream_match_limit(spark, sf):
     return run(match_stream(index, asked, LIMIT, 2).select("q_id", "rec_id", F.col("delta").cast("long").alias("delta")))
 
 
+@query(f"WITH {W.TITLES_SQL} SELECT DISTINCT title AS key FROM page_titles")
+def stream_absorb_index(spark, sf):
+    """An index of half of the titles meets the others as a stream and takes in what it doesn't know: it ends with every title once."""
+    titles = W.page_titles(spark, sf)
+    index = ReferenceIndex.fit(titles.where("rec_id % 2 = 0"), "rec_id", TITLES, K=3, L=25, strategy="broadcast")
+    asked = batch_stream(titles.where("rec_id % 2 = 1").withColumnRenamed("rec_id", "q_id"))
+    grown = absorbed(index, asked, scratch_path(spark, "absorb"), LIMIT, 0)
+    return grown.points.select(F.get("key", F.lit(0)).alias("key"))
+
+
 @query("SELECT DISTINCT source AS key FROM documents")
 def stream_state_absorb(spark, sf):
     """Of a stream of keys each is passed on once: state that grows with distinct keys only."""

@@ -56,6 +56,19 @@ def first_unmatched(unmatched: DataFrame, key: str = "key") -> DataFrame:
     return unmatched.groupBy(key).applyInPandasWithState(step, schema, "seen boolean", "append", "NoTimeout")
 
 
+def absorbed(index: ReferenceIndex, queries: DataFrame, checkpoint: str, k: int = 150, theta: float = 2, id_col: str = "q_id") -> ReferenceIndex:
+    """The index after a stream of queries: those of a micro-batch that match nothing become records of the next version."""
+    versions = [index]
+
+    def one(batch: DataFrame, number: int) -> None:
+        now = versions[-1]
+        hit = now.match(batch, k, theta, id_col).select(F.col("q_id").alias(id_col)).distinct()
+        versions.append(now.absorb(batch.join(hit, id_col, "left_anti"), id_col))
+
+    queries.writeStream.foreachBatch(one).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    return versions[-1]
+
+
 def drained(stream: DataFrame, path: str, mode: str = "append") -> DataFrame:
     """Run a stream over all that is there now into Parquet, and read the result."""
     writer = stream.writeStream.outputMode(mode).format("parquet").option("path", f"{path}/out").option("checkpointLocation", f"{path}/state")

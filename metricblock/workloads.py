@@ -189,3 +189,15 @@ def space7(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 SPACE7_SQL = """
 space7 AS (SELECT vec_id AS id, CAST(embedding[1:7] AS DOUBLE[]) AS coords FROM embeddings)"""
+
+
+# --- natural near-copies and further tables ----------------------------------------------------
+
+DOC_KEYS_SQL = """
+doc_keys AS (SELECT rec_id, opening FROM (SELECT doc_id AS rec_id, trim(substr(trim(regexp_replace(lower(text), '[^a-z]+', ' ', 'g')), 1, 64)) AS opening FROM documents WHERE lang = 'en') WHERE length(opening) > 0)"""
+
+
+def doc_keys(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """``(rec_id, opening)``: the first 64 folded letters of English documents, whose copies differ as they happen to."""
+    docs = table(spark, sf_dir, "documents").where("lang = 'en'")
+    return docs.select(F.col("doc_id").alias("rec_id"), F.trim(F.substring(ascii_fold("text"), 1, 64)).alias("opening")).where("length(opening) > 0")

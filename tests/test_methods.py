@@ -1,3 +1,4 @@
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -5,7 +6,7 @@ from metricblock import experiments as X
 from metricblock import workloads as W
 from metricblock.operators import baselines, blocks, clusters, dedup, measures
 from metricblock.operators.model import EmbeddingModel
-from metricblock.operators.querymatch import ReferenceIndex
+from metricblock.operators.querymatch import ReferenceIndex, running_sum
 from metricblock.operators.records import BlockingSpec, blocking_keys, check_schema
 from metricblock.plans.block_plan import explain_blocks, plan_blocks
 from metricblock.streaming.matching import match_batches
@@ -131,10 +132,32 @@ def test_trends(spark, sf):
     assert sum(r["pc"] for r in curve if r["K"] == 6) >= sum(r["pc"] for r in curve if r["K"] == 2)
     both = X.blocking_curve(spark, sf, n=300, Ks=(5,), Ls=(60,), embeddings=("complete", "landmark"), sizes=(30,)).collect()
     assert abs(both[0]["pc"] - both[1]["pc"]) < 0.3
-    got = X.matching_curve(spark, sf, n=400, Ls=(20, 80), ks=(30,), ops_per_s=400.0, budget_s=60).orderBy("dataset", "L").collect()
+    got = X.matching_curve(spark, sf, n=400, Ls=(20, 80), ks=(30,), budget_s=60).orderBy("dataset", "L").collect()
     for d in ("first", "second"):
         few, many = [r for r in got if r["dataset"] == d]
-        assert few["in_budget"] >= many["in_budget"] and few["tp_in_budget"] <= few["tp"]
+        assert few["share_in_budget"] == many["share_in_budget"] == 1 and few["tp"] > 0
+    none = X.matching_curve(spark, sf, ("first",), n=400, Ls=(20,), ks=(30,), budget_s=1e-6).collect()
+    assert [(r["processed"], r["tp"], r["share_in_budget"]) for r in none] == [(0, 0, 0.0)]
+    theta = X.blocking_curve(spark, sf, n=300, Ks=(5,), Ls=(60,), sizes=(10, 40), mode="clique").orderBy("B").collect()
+    assert all(r["pc_theta"] <= r["pc"] and r["n_theta"] <= r["n_b"] for r in theta) and theta[0]["pc_theta"] <= theta[1]["pc_theta"]
+
+
+def test_times_of_the_kernels_grow_with_the_landmarks(spark, sf):
+    got = X.time_by_landmarks(spark, sf, n=400, q=60, Ls=(40, 160, 320)).orderBy("L").collect()
+    assert got[0]["distance_s"] < got[2]["distance_s"] and got[0]["placement_s"] < got[2]["placement_s"]
+    assert got[2]["placement_s"] > 2 * got[0]["placement_s"]
+
+
+def test_running_sums_by_range(spark):
+    rows = spark.range(0, 1000).repartition(7).withColumn("cost", F.col("id") % 13)
+    got = {r["id"]: r["c"] for r in running_sum(rows, F.col("cost"), ("id",), "c").collect()}
+    assert got == dict(enumerate(np.cumsum(np.arange(1000) % 13).tolist()))
+
+
+def test_links_have_the_components_of_pairs(spark, sf):
+    titles = W.page_titles(spark, sf)
+    both = [clusters.clusters(dedup.dedup(titles, "rec_id", BlockingSpec(("title",)), 8, B=50, K=3, L=25, expand=e), titles) for e in ("pairs", "links")]
+    assert sorted(map(tuple, both[0].collect())) == sorted(map(tuple, both[1].collect()))
     assert max(r["mean_ms"] for r in X.search_time(spark, sf, 400, L=30).collect()) < 20
 
 
