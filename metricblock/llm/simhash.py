@@ -23,7 +23,7 @@ to be equal, and candidates are verified on all bits.
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from functools import cache
 
 import numpy as np
@@ -153,7 +153,7 @@ def _peeled(key: np.ndarray, words: np.ndarray, most: int) -> Iterator[tuple[np.
         rest = rest[~close & ~lead]
 
 
-def _local_heads(equal: int, most: int, at_once: int = 8192):
+def _local_heads(equal: int, most: int, at_once: int = 1024):
     """Keys of a task's prints, each with one word to compare; what is close to a head here is linked to it at once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -229,17 +229,17 @@ def similar_pairs(prints: DataFrame, similarity: float = 0.8) -> DataFrame:
     return pairs.select("a", "b", apart.alias("bits")).where(F.col("bits") <= most)
 
 
-def verified(pairs: DataFrame, texts: DataFrame, bits: int, similarity: float = 0.8, shingle: int = 5, sure: float = 0.9) -> DataFrame:
+def verified(pairs: DataFrame, texts: Callable[[DataFrame], DataFrame], bits: int, similarity: float = 0.8, shingle: int = 5, sure: float = 0.9) -> DataFrame:
     """Of the candidates ``(a, b, bits)`` those whose texts have that similarity.
 
     As few differing bits as at a similarity of ``sure`` are enough; other pairs are compared by
-    their shingles, from ``texts(id, text binary)``, one row an id.
+    their shingles: ``texts`` gives ``(id, text binary)``, one row an id, for a table of ids.
     """
     pairs = stored(pairs)
     clear = F.col("bits") <= bits_at(sure, bits)
     close = pairs.where(~clear)
     asked = close.select(F.col("a").alias("id")).union(close.select("b")).distinct()
-    fetched = texts.join(asked, "id", "left_semi")
+    fetched = stored(texts(stored(asked)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
