@@ -154,8 +154,9 @@ def _cut(pieces: list, size: int) -> tuple[list, list]:
     return head, pieces[at:]
 
 
-def _batches(rows: Iterable[tuple], doc_type: pa.DataType, with_ids: bool, rows_at_once: int = 16384) -> Iterator[pa.RecordBatch]:
+def _batches(rows: Iterable[tuple], doc_type: pa.DataType, with_ids: bool, rows_at_once: int = 16384, ids_at_once: int = 1 << 20) -> Iterator[pa.RecordBatch]:
     held: list[tuple] = []
+    size = 0
 
     def batch() -> pa.RecordBatch:
         docs, starts, ids, totals, sequences, offsets = zip(*held, strict=True)
@@ -169,14 +170,17 @@ def _batches(rows: Iterable[tuple], doc_type: pa.DataType, with_ids: bool, rows_
             "offset": pa.array(offsets, pa.int64()),
         }
         if with_ids:
-            columns["ids"] = pa.array([x.tolist() for x in ids], pa.list_(pa.int32()))
+            ends = np.cumsum([0, *map(len, ids)], dtype=np.int32)
+            columns["ids"] = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(ids).astype(np.int32)))
         held.clear()
         return pa.RecordBatch.from_pydict(columns)
 
     for row in rows:
         held.append(row)
-        if len(held) >= rows_at_once:
+        size += len(row[2])
+        if len(held) >= rows_at_once or size >= ids_at_once:
             yield batch()
+            size = 0
     if held:
         yield batch()
 
