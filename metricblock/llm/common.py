@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+import ctypes
+from collections.abc import Callable, Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from metricblock.sources.scratch import drop, scratch_root, stored
 
-__all__ = ["WORD", "drop", "scratch_root", "stored", "table", "text_of", "unused"]
+__all__ = ["WORD", "drop", "released", "scratch_root", "stored", "table", "text_of", "unused"]
 
 #: A word, in Java's, Python's and DuckDB's syntax: what ASCII white space leaves.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -30,3 +34,27 @@ def unused(df: DataFrame, *names: str) -> list[str]:
             name = "_" + name
         found.append(name)
     return found
+
+
+def _give_back() -> None:
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
+def released(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """``run`` for mapInArrow, that gives freed memory back to the system after every batch: workers live on, and so would what they held."""
+
+    def fed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield b
+            del b
+            _give_back()
+
+    def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from run(fed(batches))
+        _give_back()
+
+    return wrapped

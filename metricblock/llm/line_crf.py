@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from metricblock.llm.common import table, text_of
+from metricblock.llm.common import released, table, text_of
 from metricblock.llm.hashing import word_hashes
 
 SAMPLE = 4_000
@@ -236,7 +236,7 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, column: str, most: int,
 
 def train(docs: DataFrame, labels: DataFrame, modulus: int = 3, left_out: int = 1, sample: int = SAMPLE) -> LineChain:
     """The model for ``labels.quality``, from at most ``sample`` labelled documents."""
-    rows = labelled_sample(docs, labels, "quality", sample, modulus, left_out).mapInArrow(_sample_features, "doc_id long, label int, features binary").collect()
+    rows = labelled_sample(docs, labels, "quality", sample, modulus, left_out).mapInArrow(released(_sample_features), "doc_id long, label int, features binary").collect()
     rows.sort(key=lambda r: (r["doc_id"], r["features"]))
     each = [np.frombuffer(r["features"], dtype=np.float32).reshape(-1, len(FEATURES)) for r in rows]
     features = np.concatenate(each) if each else np.zeros((0, len(FEATURES)), dtype=np.float32)
@@ -266,7 +266,7 @@ def score_quality(docs: DataFrame, model: LineChain) -> DataFrame:
     A model that was fitted to nothing scores every document 0.5.  Repeated rows get a row
     each; other columns are ignored; an empty table gives no rows.
     """
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().cast("binary").alias("text")).mapInArrow(_scored(model), "doc_id long, score double")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().cast("binary").alias("text")).mapInArrow(released(_scored(model)), "doc_id long, score double")
 
 
 def with_scores(docs: DataFrame, model: LineChain, name: str = "_score") -> DataFrame:
@@ -277,7 +277,7 @@ def with_scores(docs: DataFrame, model: LineChain, name: str = "_score") -> Data
             yield b.append_column(name, scored.column(1))
 
     schema = T.StructType([*docs.schema.fields, T.StructField(name, T.DoubleType())])
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(released(run), schema)
 
 
 def _beside(score, batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, pa.RecordBatch]]:

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 
-from metricblock.llm.common import table, text_of
+from metricblock.llm.common import released, table, text_of
 
 WINDOW = 1024
 _encoders: dict[str, Callable[[str], list[int]]] = {}
@@ -207,7 +207,7 @@ def pack_documents(docs: DataFrame, tokenizer: str, window: int = WINDOW, end_id
         yield from _batches(rows(), pa.int64(), with_ids)
 
     schema = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
-    return docs.select(docs["doc_id"].cast("long"), text_of().alias("text")).mapInArrow(pack, schema + ", ids array<int>" * with_ids)
+    return docs.select(docs["doc_id"].cast("long"), text_of().alias("text")).mapInArrow(released(pack), schema + ", ids array<int>" * with_ids)
 
 
 def op1_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

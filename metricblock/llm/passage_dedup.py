@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from metricblock.llm import suffixes
-from metricblock.llm.common import table
+from metricblock.llm.common import released, table
 from metricblock.llm.hashing import word_spans
 from metricblock.llm.repeats import KEY, NO_ID, Kind, cut_stretches, keyed, repeated_stretches, unions
 
@@ -150,7 +150,7 @@ def cut_texts(docs: DataFrame, width: int = WIDTH) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*(changed if c == "text" else b.column(f"_own_{c}") for c in names), out.column("n_removed")], [*names, "_n_removed"])
 
     schema = T.StructType([*docs.schema.fields, T.StructField("_n_removed", T.LongType())])
-    return key.join(cuts, KEY, "left").select("doc", "cuts", *[f"`_own_{c}`" for c in names]).mapInArrow(run, schema)
+    return key.join(cuts, KEY, "left").select("doc", "cuts", *[f"`_own_{c}`" for c in names]).mapInArrow(released(run), schema)
 
 
 def op7_passages(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -30,7 +30,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from metricblock.llm.common import drop, stored, text_of
+from metricblock.llm.common import drop, released, stored, text_of
 from metricblock.llm.hashing import INVERSE, mixed, powers, prefixes, word_hashes
 
 PLACE_BITS = 26
@@ -293,9 +293,9 @@ def repeated_stretches(docs: DataFrame, kind: Kind, solver: Solver) -> DataFrame
         settled, firsts = _settled(texts, level)
         found.append(settled)
         wanted = firsts.groupBy(*KEY, "base").agg(F.collect_list(F.struct("a", "start", "stop", "m", "hot")).alias("wanted"))
-        pieces = stored(texts.join(wanted, [*KEY, "base"]).dropDuplicates([*KEY, "base"]).mapInArrow(_pieces(level), PIECES))
+        pieces = stored(texts.join(wanted, [*KEY, "base"]).dropDuplicates([*KEY, "base"]).mapInArrow(released(_pieces(level)), PIECES))
         cool = pieces.where("not hot").select("a", *KEY, "start", "m", "piece")
-        found.append(cool.repartition("a").sortWithinPartitions("a").mapInArrow(_solved(level, solver), STRETCHES))
+        found.append(cool.repartition("a").sortWithinPartitions("a").mapInArrow(released(_solved(level, solver)), STRETCHES))
         hot = pieces.where("hot").select(*KEY, F.col("start").alias("base"), "m", F.col("piece").alias("text"))
         texts, level = hot, level.longer() if not hot.isEmpty() else None
     cuts = found[0]
@@ -309,7 +309,7 @@ def _settled(texts: DataFrame, kind: Kind) -> tuple[DataFrame, DataFrame]:
 
     ``texts`` are documents, or stretches of them from ``base`` on, with their number ``m`` of copies.
     """
-    seen = stored(texts.mapInArrow(_run_rows(kind), RUNS))
+    seen = stored(texts.mapInArrow(released(_run_rows(kind)), RUNS))
     whole = seen.where("a is not null")
     grams = whole.groupBy("a").agg(F.sum("n").alias("all"), F.min("u").alias("least"), F.max("u").alias("most")).where(F.col("all") > 1)
     grams = stored(grams.select("a", (F.col("least") != F.col("most")).alias("mixed")))  # a table, so that a hot gram's rows may be split in the join
@@ -330,7 +330,7 @@ def _settled(texts: DataFrame, kind: Kind) -> tuple[DataFrame, DataFrame]:
 def cut_stretches(docs: DataFrame, cuts: DataFrame, apply, schema: str, *columns: str) -> DataFrame:
     """``docs`` through ``apply(batches)``, which finds ``text`` as bytes and ``cuts`` (null if none) there."""
     texts = keyed(docs, *columns)
-    return texts.join(cuts, KEY, "left").select("doc", "text", "cuts", *columns).mapInArrow(apply, schema)
+    return texts.join(cuts, KEY, "left").select("doc", "text", "cuts", *columns).mapInArrow(released(apply), schema)
 
 
 def unions(cuts: pa.ListArray) -> Iterator[tuple[np.ndarray, np.ndarray]]:

@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, LongType, StructField, StructType
 
-from metricblock.llm.common import stored, table, text_of, unused
+from metricblock.llm.common import released, stored, table, text_of, unused
 from metricblock.llm.hashing import LENGTH, mixed
 from metricblock.operators.clusters import components
 
@@ -96,7 +96,7 @@ def _fingerprints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 
 def simhash(docs: DataFrame) -> DataFrame:
     """``(doc_id, fingerprint long)``; a null text counts as empty."""
-    return docs.select(F.col("doc_id").cast("long"), text_of().cast("binary").alias("text")).mapInArrow(_fingerprints, "doc_id long, fingerprint long")
+    return docs.select(F.col("doc_id").cast("long"), text_of().cast("binary").alias("text")).mapInArrow(released(_fingerprints), "doc_id long, fingerprint long")
 
 
 def fingerprinted(docs: DataFrame, name: str = "fingerprint", shingle: int = 5, words: int = 8) -> DataFrame:
@@ -109,7 +109,7 @@ def fingerprinted(docs: DataFrame, name: str = "fingerprint", shingle: int = 5,
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(found.view(np.int64).tolist(), pa.list_(pa.int64()))], [*b.schema.names[:-1], name])
 
     schema = StructType([*docs.schema.fields, StructField(name, ArrayType(LongType()))])
-    return docs.select("*", text_of().cast("binary").alias(data)).mapInArrow(run, schema)
+    return docs.select("*", text_of().cast("binary").alias(data)).mapInArrow(released(run), schema)
 
 
 def bits_at(similarity: float, bits: int, deviations: float = 0.0) -> int:
@@ -220,8 +220,8 @@ def similar_pairs(prints: DataFrame, similarity: float = 0.8) -> DataFrame:
     first = prints.select(F.count("*"), F.max(F.size("words"))).first()
     width = first[1] or 1
     most, check = bits_at(similarity, 64 * width, 3), bits_at(similarity, 64, 3)
-    local = stored(prints.select("id", "words").mapInArrow(_local_heads(equal_bits(first[0]), most), "key long, id long, more long"))
-    met = local.where("key is not null").repartition("key").sortWithinPartitions("key", "id").mapInArrow(_meetings(check), "a long, b long")
+    local = stored(prints.select("id", "words").mapInArrow(released(_local_heads(equal_bits(first[0]), most)), "key long, id long, more long"))
+    met = local.where("key is not null").repartition("key").sortWithinPartitions("key", "id").mapInArrow(released(_meetings(check)), "a long, b long")
     linked = local.where("key is null").select(F.least("id", "more").alias("a"), F.greatest("id", "more").alias("b"))
     side = prints.select(F.col("id"), "words")
     pairs = met.unionByName(linked).distinct().join(side.select(F.col("id").alias("a"), F.col("words").alias("x")), "a").join(side.select(F.col("id").alias("b"), F.col("words").alias("y")), "b")
@@ -247,7 +247,7 @@ def verified(pairs: DataFrame, texts: Callable[[DataFrame], DataFrame], bits: in
             yield b.select(["a", "b"]).filter(pa.array(yes, pa.bool_()))
 
     both = close.join(fetched.select(F.col("id").alias("a"), F.col("text").alias("x")), "a").join(fetched.select(F.col("id").alias("b"), F.col("text").alias("y")), "b")
-    return both.select("a", "b", "x", "y").mapInArrow(run, "a long, b long").unionByName(pairs.where(clear).select("a", "b"))
+    return both.select("a", "b", "x", "y").mapInArrow(released(run), "a long, b long").unionByName(pairs.where(clear).select("a", "b"))
 
 
 @cache
@@ -308,7 +308,7 @@ def near_pairs(prints: DataFrame) -> DataFrame:
     ``prints`` has one column, ``fingerprint long``, without repeats.  Every pair given differs
     in one or two bits; pairs that share no small key are linked through the ones between.
     """
-    keys = prints.mapInArrow(_keys, "key long, fingerprint long")
+    keys = prints.mapInArrow(released(_keys), "key long, fingerprint long")
     groups = keys.groupBy("key").agg(F.count("*").alias("n"), F.min("fingerprint").alias("a"), F.max("fingerprint").alias("b")).where("n > 1")
     groups = stored(groups)
     close = F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= 2

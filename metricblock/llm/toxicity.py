@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from metricblock.llm.common import stored, table, text_of
+from metricblock.llm.common import released, stored, table, text_of
 from metricblock.llm.hashing import mixed, word_hashes
 from metricblock.llm.line_crf import labelled_sample
 
@@ -273,7 +273,7 @@ def _frequencies(vocabulary: np.ndarray, at_once: int = 1 << 20):
 
 def train(docs: DataFrame, labels: DataFrame, modulus: int = 5, left_out: int = 0, sample: int = SAMPLE, k: int = NEIGHBOURS) -> ToxicityModel:
     """The model for ``labels.toxic``: at most ``sample`` examples; term frequencies from all of ``docs``."""
-    rows = labelled_sample(docs, labels, "toxic", sample, modulus, left_out, seed=3, longest=LONGEST_EXAMPLE).mapInArrow(_sample_terms, "doc_id long, label int, terms binary, counts binary").collect()
+    rows = labelled_sample(docs, labels, "toxic", sample, modulus, left_out, seed=3, longest=LONGEST_EXAMPLE).mapInArrow(released(_sample_terms), "doc_id long, label int, terms binary, counts binary").collect()
     rows.sort(key=lambda r: (r["label"], r["doc_id"], r["terms"]))
     label = np.array([r["label"] for r in rows], dtype=float)
     terms = [np.frombuffer(r["terms"], dtype=np.uint64) for r in rows]
@@ -282,7 +282,7 @@ def train(docs: DataFrame, labels: DataFrame, modulus: int = 5, left_out: int =
     vocabulary = np.unique(flat)
 
     frequency, texts = np.zeros(len(vocabulary)), 0
-    for r in docs.select(text_of().cast("binary").alias("text")).mapInArrow(_frequencies(vocabulary), "place long, n long").groupBy("place").agg(F.sum("n").alias("n")).collect() if len(vocabulary) else ():
+    for r in docs.select(text_of().cast("binary").alias("text")).mapInArrow(released(_frequencies(vocabulary)), "place long, n long").groupBy("place").agg(F.sum("n").alias("n")).collect() if len(vocabulary) else ():
         if r["place"] < 0:
             texts = r["n"]
         else:
@@ -403,8 +403,8 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel, evidence: bool = True)
     """
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().cast("binary").alias("text"))
     if not evidence:
-        return texts.mapInArrow(_scores(model), "doc_id long, score double")
-    found = texts.mapInArrow(_searched(model), "doc_id long, examples array<int>, near array<double>, known double, others array<struct<term: long, n: int>>")
+        return texts.mapInArrow(released(_scores(model)), "doc_id long, score double")
+    found = texts.mapInArrow(released(_searched(model)), "doc_id long, examples array<int>, near array<double>, known double, others array<struct<term: long, n: int>>")
     found = stored(found.withColumn("row", F.monotonically_increasing_id()))
     total = found.count()
     words = found.select("row", F.inline("others"))
@@ -414,7 +414,7 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel, evidence: bool = True)
     rest = words.join(often, "term", "left").groupBy("row").agg((F.sum(F.round(square / STEP).cast("long")) * STEP).alias("rest"))
     whole = found.drop("others").join(rest, "row", "left").select("doc_id", "examples", "near", (F.col("known") + F.coalesce("rest", F.lit(0.0))).alias("square"))
     slim = ToxicityModel(np.zeros(0), np.zeros(0), np.zeros(0), None, model.ids, model.toxic, model.base, model.curve)
-    return whole.mapInArrow(_explained(slim), "doc_id long, score double, evidence array<struct<doc_id: long, cosine: double, toxic: int>>")
+    return whole.mapInArrow(released(_explained(slim)), "doc_id long, score double, evidence array<struct<doc_id: long, cosine: double, toxic: int>>")
 
 
 def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
