@@ -13,6 +13,11 @@ from metricblock.sources.scratch import drop, scratch_root, stored
 
 __all__ = ["WORD", "drop", "released", "scratch_root", "stored", "table", "text_of", "unused"]
 
+#: Rows of an Arrow batch: whole texts travel in them, on both sides and in both directions at once.
+BATCH_ROWS = 1_000
+GIVE_BACK_BYTES = 8 << 20
+_BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
 #: A word, in Java's, Python's and DuckDB's syntax: what ASCII white space leaves.
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -45,13 +50,23 @@ def _give_back() -> None:
 
 
 def released(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    """``run`` for mapInArrow, that gives freed memory back to the system after every batch: workers live on, and so would what they held."""
+    """``run`` for mapInArrow, that gives freed memory back to the system after every few batches: workers live on, and so would what they held.
+
+    The session's batches are kept to ``BATCH_ROWS`` rows; a smaller setting of the user's stays.
+    """
+    conf = SparkSession.builder.getOrCreate().conf
+    if not 0 < int(conf.get(_BATCH)) <= BATCH_ROWS:
+        conf.set(_BATCH, str(BATCH_ROWS))
 
     def fed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        passed = 0
         for b in batches:
+            passed += b.nbytes
             yield b
             del b
-            _give_back()
+            if passed >= GIVE_BACK_BYTES:
+                _give_back()
+                passed = 0
 
     def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield from run(fed(batches))
