@@ -367,7 +367,12 @@ def rel_math_norms(spark, sf):
 
 @query("SELECT vec_id, CAST(len(list_filter(embedding, lambda x: x > 0)) AS BIGINT) AS positive, list_transform(embedding[1:3], lambda x: round(CAST(x AS DOUBLE) * 2, 5)) AS twice FROM embeddings")
 def rel_arr_hof(spark, sf):
-    return table(spark, sf, "embeddings").select("vec_id", F.size(F.filter("embedding", lambda x: x > 0)).cast("long").alias("positive"), F.transform(F.slice("embedding", 1, 3), lambda x: F.round(x.cast("double") * 2, 5)).alias("twice"))
+    """Rounded as in SQL: the sign stays, also of what rounds to zero."""
+
+    def rounded(x):
+        return F.signum(x) * (F.round(F.abs(x) * 100_000, 0) / 100_000)
+
+    return table(spark, sf, "embeddings").select("vec_id", F.size(F.filter("embedding", lambda x: x > 0)).cast("long").alias("positive"), F.transform(F.slice("embedding", 1, 3), lambda x: rounded(x.cast("double") * 2)).alias("twice"))
 
 
 @query("SELECT vec_id, CAST(i AS BIGINT) AS i, round(CAST(embedding[i + 1] AS DOUBLE), 6) AS x FROM embeddings, unnest(range(0, 7)) AS t(i)")
