@@ -44,6 +44,8 @@ SEGMENTS = ((0, 23), (23, 23), (46, 18))
 #: Which segment has to be equal, and which one gives the indices.
 PLANS = ((0, 1), (1, 2), (2, 0))
 PAIR_UP_TO = 64
+#: Bits of a wide key that have to be equal: one number for tables of any size, so that what is found doesn't hang on it.
+EQUAL_BITS = 9
 SEED = 42
 
 
@@ -118,12 +120,7 @@ def bits_at(similarity: float, bits: int, deviations: float = 0.0) -> int:
     return math.floor(bits * share + deviations * math.sqrt(bits * share * (1 - share)))
 
 
-def equal_bits(rows: int) -> int:
-    """Bits of a key that have to be equal: more of them for larger tables, so that chance meetings stay rare."""
-    return min(18, max(9, rows.bit_length() - 11))
-
-
-def _wide_keys(prints: np.ndarray, equal: int) -> tuple[np.ndarray, np.ndarray]:
+def _wide_keys(prints: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Which row, and a key: the Golay index of a segment of a word, with other bits that have to be equal."""
     rows, keys = [], []
     width = prints.shape[1]
@@ -131,7 +128,7 @@ def _wide_keys(prints: np.ndarray, equal: int) -> tuple[np.ndarray, np.ndarray]:
         for near in (0, 23):
             of, index = golay_indices((prints[:, w] >> np.uint64(near) & np.uint64((1 << 23) - 1)).astype(np.int64))
             for other in {w, (w + 1) % width}:
-                same = (prints[:, other] >> np.uint64(64 - equal)).astype(np.int64)
+                same = (prints[:, other] >> np.uint64(64 - EQUAL_BITS)).astype(np.int64)
                 rows.append(of)
                 keys.append((same[of] << 32) | (index << 16) | (w * 2 + (near > 0)) * 2 + (other != w))
     return np.concatenate(rows), np.concatenate(keys)
@@ -153,12 +150,12 @@ def _peeled(key: np.ndarray, words: np.ndarray, most: int) -> Iterator[tuple[np.
         rest = rest[~close & ~lead]
 
 
-def _local_heads(equal: int, most: int, at_once: int = 1024):
+def _local_heads(most: int, at_once: int = 1024):
     """Keys of a task's prints, each with one word to compare; what is close to a head here is linked to it at once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def out(ids: np.ndarray, prints: np.ndarray) -> Iterator[pa.RecordBatch]:
-            row, key = _wide_keys(prints, equal)
+            row, key = _wide_keys(prints)
             order = np.lexsort((ids[row], key))
             row, key = row[order], key[order]
             for heads, close, head in _peeled(key, prints[row], most):
@@ -217,10 +214,9 @@ def similar_pairs(prints: DataFrame, similarity: float = 0.8) -> DataFrame:
     head of their own, and so on.  Each task does so with its own rows first, so a key of many
     copies sends one row from each task, and its copies cost a link each, not one a pair.
     """
-    first = prints.select(F.count("*"), F.max(F.size("words"))).first()
-    width = first[1] or 1
+    width = prints.select(F.max(F.size("words"))).first()[0] or 1
     most, check = bits_at(similarity, 64 * width, 3), bits_at(similarity, 64, 3)
-    local = stored(prints.select("id", "words").mapInArrow(released(_local_heads(equal_bits(first[0]), most)), "key long, id long, more long"))
+    local = stored(prints.select("id", "words").mapInArrow(released(_local_heads(most)), "key long, id long, more long"))
     met = local.where("key is not null").repartition("key").sortWithinPartitions("key", "id").mapInArrow(released(_meetings(check)), "a long, b long")
     linked = local.where("key is null").select(F.least("id", "more").alias("a"), F.greatest("id", "more").alias("b"))
     side = prints.select(F.col("id"), "words")
