@@ -2,22 +2,51 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from metricblock.functions.distance import METRIC, delta_to_landmarks, key_delta
+from metricblock.functions.edit_kernel import EditTargets
+from metricblock.operators.blocks import expand_pairs
+from metricblock.operators.pairwise import meet, packed
+from metricblock.operators.records import key_dictionary
+from metricblock.sources.scratch import stored
 
 
 def all_pairs(keys: DataFrame, theta: float | None = None, combine: str = "sum", id_col: str = "rec_id") -> DataFrame:
     """``(a, b, delta)`` of every pair of one collection.  Quadratic by definition: the baseline."""
+    if theta is not None and combine in ("sum", "split_space"):
+        return close_pairs(keys.select(F.col(id_col).alias("rec_id"), "key"), theta)
     x = keys.select(F.col(id_col).alias("a"), F.col("key").alias("x"))
     y = keys.select(F.col(id_col).alias("b"), F.col("key").alias("y"))
     pairs = x.join(y, F.col("a") < F.col("b")).select("a", "b", key_delta("x", "y", combine).cast("long").alias("delta"))
     return pairs if theta is None else pairs.where(F.col("delta") <= F.lit(theta))
 
 
+def close_pairs(keys: DataFrame, theta: float) -> DataFrame:
+    """``(a, b, delta)``, a < b, of all records whose keys are at most ``theta`` apart; every two distinct keys are looked at, by blocks."""
+    keys = stored(keys)
+    dictionary = stored(key_dictionary(keys))
+
+    class Side:
+        def __init__(self, some: pa.Table):
+            self.ids, self.keys, self.targets = some["key_id"].to_numpy(), some["key"].to_pylist(), None
+
+    def work(x: Side, y: Side, same: bool) -> Iterator[pa.RecordBatch]:
+        x.targets = x.targets or EditTargets(x.keys)
+        i, j, delta = x.targets.close(y.keys, theta)
+        a, b = y.ids[i], x.ids[j]
+        keep = a < b if same else a != b
+        yield pa.RecordBatch.from_arrays([pa.array(a[keep]), pa.array(b[keep]), pa.array(delta[keep].astype(np.int64))], ["a", "b", "delta"])
+
+    blocks = packed(dictionary.select("key_id", "key"), 4096)
+    return expand_pairs(meet(blocks, blocks, Side, work, "a long, b long, delta long", triangle=True), keys, dictionary)
+
+
 def cross_pairs(left: DataFrame, right: DataFrame, theta: float | None = None, combine: str = "sum") -> DataFrame:
     """``(a, b, delta)`` of every pair across two collections."""
     x = left.select(F.col("rec_id").alias("a"), F.col("key").alias("x"))
