@@ -6,9 +6,10 @@ from pyspark.sql import functions as F
 
 from metricblock import workloads as W
 from metricblock.functions import sql
+from metricblock.operators import vectors
 from metricblock.operators.querymatch import ReferenceIndex
 from metricblock.queries.distances import QUERY_PAIRS, query_pairs, r6
-from metricblock.queries.methods import NAMES, SPACE, space_pairs
+from metricblock.queries.methods import NAMES, SPACE, space_points
 from metricblock.queries.registry import query
 
 
@@ -21,12 +22,14 @@ def rel_udf_jaro(spark, sf):
 
 @query(SPACE + " SELECT a.label, round(sqrt(sum((d - delta) * (d - delta)) / sum(delta * delta)), 6) AS stress FROM d JOIN full_ a ON a.id = i GROUP BY a.label")
 def rel_udaf_stress(spark, sf):
-    """Stress by the label of a pair's first vector."""
-    from metricblock.operators.stress import pair_distances
-
-    labels = W.table(spark, sf, "embeddings").select(F.col("vec_id").alias("i"), "label")
-    measured = pair_distances(space_pairs(spark, sf), W.space7(spark, sf)).join(labels, "i")
-    return measured.groupBy("label").agg(sql.stress_of_group()("d", "delta").alias("stress")).withColumn("stress", r6("stress"))
+    """Stress by the label of a pair's first vector.
+
+    Two blocks give one row a label, with the squared miss and size of all their pairs: of such
+    rows the aggregate is that of the pairs.
+    """
+    parts = vectors.stress_parts(space_points(spark, sf, "label"), by=True)
+    one = parts.select("label", (F.sqrt("size") + F.sqrt("miss")).alias("d"), F.sqrt("size").alias("delta"))
+    return one.groupBy("label").agg(sql.stress_of_group()("d", "delta").alias("stress")).withColumn("stress", r6("stress"))
 
 
 @query()
