@@ -10,7 +10,8 @@ def reduction_ratio(pairs: int | Column, n: int | Column, convention: str = "pap
     """Share of comparisons avoided.  "paper" divides by n (n - 1), "unordered" by half of that."""
     n = n if isinstance(n, Column) else F.lit(n)
     pairs = pairs if isinstance(pairs, Column) else F.lit(pairs)
-    all_ = (n * (n - 1)).cast("double") / (1.0 if convention == "paper" else 2.0)
+    n = n.cast("double")  # the product of two whole numbers may be too large for one
+    all_ = n * (n - 1) / (1.0 if convention == "paper" else 2.0)
     return F.when(all_ > 0, 1 - pairs / all_)
 
 
