@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, LongType, StructField, StructType
 
-from metricblock.llm.common import released, stored, table, text_of, unused
+from metricblock.llm.common import drop, released, stored, table, text_of, unused
 from metricblock.llm.hashing import LENGTH, mixed
 from metricblock.operators.clusters import components
 
@@ -222,7 +222,9 @@ def similar_pairs(prints: DataFrame, similarity: float = 0.8) -> DataFrame:
     side = prints.select(F.col("id"), "words")
     pairs = met.unionByName(linked).distinct().join(side.select(F.col("id").alias("a"), F.col("words").alias("x")), "a").join(side.select(F.col("id").alias("b"), F.col("words").alias("y")), "b")
     apart = F.aggregate(F.zip_with("x", "y", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
-    return pairs.select("a", "b", apart.alias("bits")).where(F.col("bits") <= most)
+    found = stored(pairs.select("a", "b", apart.alias("bits")).where(F.col("bits") <= most))
+    drop(local)
+    return found
 
 
 def verified(pairs: DataFrame, texts: Callable[[DataFrame], DataFrame], bits: int, similarity: float = 0.8, shingle: int = 5, sure: float = 0.9) -> DataFrame:

@@ -98,3 +98,18 @@ def test_empty(spark, sf, none):
     for _, stage in corpus_pipeline.STAGES:
         docs = stored(stage(spark, docs, sf))
     assert docs.count() == 0
+
+
+def test_near_dedup_leaves_no_copy_of_the_texts(spark):
+    """What the stage leaves in the shared folder is less than its texts: the next stage's tables come beside it."""
+    from pathlib import Path
+
+    from metricblock.llm.common import scratch_root
+
+    d = "/root/testdata/sf0.01"
+    size = lambda path: sum(f.stat().st_size for f in Path(path.removeprefix("file:")).rglob("*.parquet"))
+    docs = spark.read.parquet(f"{d}/documents.parquet")
+    before = size(scratch_root(spark))
+    kept = corpus_pipeline.one_of_each_group(spark, docs, d)
+    assert 0 < size(scratch_root(spark)) - before < 0.5 * Path(f"{d}/documents.parquet").stat().st_size
+    assert kept.count() > 0
